@@ -217,12 +217,13 @@ def pairs_verified(rows: DataFrame, same: DataFrame, pairs: DataFrame, least: fl
                 small = words.astype("<u4")
                 yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([small[a:b].tobytes() for a, b in zip(first[:-1], first[1:], strict=True)], pa.binary())], ["id", "words"])
 
-    wanted = rows.join(need, "id", "left_semi").mapInArrow(to_words, "id bigint, words binary")
+    # Every size takes the same way: a broadcast of these ids would grow with the corpus.
+    wanted = rows.join(need.hint("merge"), "id", "left_semi").mapInArrow(to_words, "id bigint, words binary")
     wanted = store(wanted.groupBy("id").agg(F.max_by("words", F.octet_length("words")).alias("words")), "near-words")
-    left = pairs.join(wanted.select(F.col("id").alias("rep"), F.col("words").alias("wa")), "rep")
+    left = pairs.join(wanted.select(F.col("id").alias("rep"), F.col("words").alias("wa")).hint("merge"), "rep")
     # Pairs whose lengths rule out the similarity need no alignment.
     right = wanted.select(F.col("id").alias("leader"), F.col("words").alias("wb"))
-    both = left.join(right, "leader").filter(F.least(F.octet_length("wa"), F.octet_length("wb")) >= least * F.greatest(F.octet_length("wa"), F.octet_length("wb")) - 4e-6)
+    both = left.join(right.hint("merge"), "leader").filter(F.least(F.octet_length("wa"), F.octet_length("wb")) >= least * F.greatest(F.octet_length("wa"), F.octet_length("wb")) - 4e-6)
 
     def verify(batches):
         for whole in batches:
