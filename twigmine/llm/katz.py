@@ -2,7 +2,7 @@
 
 P(w | u) is d * c(u, w) / c(u) where the pair was seen in training and bow(u) * P(w) where not; P(w) is d * c(w) / N, and what the
 discounts leave is the probability of the one class of unknown words.  Counts live in tables partitioned by a hash: words by
-themselves, pairs by their first word.  Documents are dealt to chunks by a hash; a chunk asks the partitions for the counts of the
+themselves, pairs by their first word (those of very frequent first words by both).  Documents are dealt to chunks by a hash; a chunk asks the partitions for the counts of the
 different words and pairs it holds, each once, and scores its documents token by token, from pair to word to unknown,
 with the answers.  So what is moved follows the number of different words and pairs of the chunks, and neither a table nor
 a group of documents is ever in one place.
@@ -52,6 +52,17 @@ def planes(a: np.ndarray) -> bytes:
     return np.ascontiguousarray(a.view(np.uint8).reshape(len(a), a.itemsize).T).tobytes()
 
 
+def short(h: np.ndarray) -> bytes:
+    """Six bytes of each hash, which tell the words behind one context apart: among f of them f*f / 2**49 pairs are taken for one."""
+    return np.ascontiguousarray(h.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].T).tobytes()
+
+
+def unshort(b: bytes) -> np.ndarray:
+    out = np.zeros((len(b) // 6, 8), np.uint8)
+    out[:, :6] = np.frombuffer(b, np.uint8).reshape(6, -1).T
+    return out.view("<u8").ravel()
+
+
 def unplaned(b: bytes, kind: str) -> np.ndarray:
     size = np.dtype(kind).itemsize
     return np.ascontiguousarray(np.frombuffer(b, np.uint8).reshape(size, -1).T).view(kind).ravel()
@@ -127,7 +138,7 @@ class Chunk:
             a, z, start, u = self.contexts(b)
             flags = self.pair_held[u].astype(np.uint8) | (self.hot[a:z][start].astype(np.uint8) << 1)
             v = self.v[a:z]
-            yield int(b), self.words[u].tobytes(), planes(np.diff(np.append(start, z - a)).astype(np.uint32)), flags.tobytes(), self.words[v].tobytes(), planes(self.count[v].astype(np.uint32)), planes(self.train_pairs[a:z].astype(np.uint32))
+            yield int(b), self.words[u].tobytes(), planes(np.diff(np.append(start, z - a)).astype(np.uint32)), flags.tobytes(), short(self.words[v]), planes(self.count[v].astype(np.uint32)), planes(self.train_pairs[a:z].astype(np.uint32))
 
 
 class Words:
@@ -163,7 +174,7 @@ def _merge_words(table):
 def _merge_pairs(table, words):
     get = lambda c, f: [f(b) for b in table.column(c).to_pylist()]
     ctx, lens = get("ctx", lambda b: np.frombuffer(b, "<u8")), get("lens", lambda b: unplaned(b, "<u4"))
-    flags, cur = get("flags", lambda b: np.frombuffer(b, np.uint8)), get("cur", lambda b: np.frombuffer(b, "<u8"))
+    flags, cur = get("flags", lambda b: np.frombuffer(b, np.uint8)), get("cur", unshort)
     cur_count, counts = get("cur_count", lambda b: unplaned(b, "<u4")), get("counts", lambda b: unplaned(b, "<u4"))
     all_ctx, all_cur = np.concatenate(ctx), np.concatenate(cur)
     context, of = np.unique(all_ctx, return_inverse=True)
@@ -189,7 +200,6 @@ def _merge_pairs(table, words):
     hot[of[(np.concatenate(flags) & 2) == 2]] = True
     for h in np.flatnonzero(hot):
         rows.append(("hot", -1, part, None, None, None, 0, int(context[h].view(np.int64)), n[h].tolist(), float(q[h])))
-    rows.append(("table", -1, part, all_cur[example[seen]].tobytes(), planes(total[seen].astype(np.uint32)), context[owner[seen]].tobytes(), 0, None, None, None))
     kinds = (pa.string(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.float64())
     return pa.Table.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)], ["kind", "chunk", "part", "p1", "p2", "p3", "asked", "ctx", "stats", "q"])
 
