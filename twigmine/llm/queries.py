@@ -92,3 +92,61 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict:
     own = [op1_exact_dedup, op2_document_fingerprints, op3_source_mixing, op4_licence_scan, op5_warc_archive, op6_bpe, op7_language_model, op8_near_duplicates, op9_html_extraction, op10_quality, pipeline]
     return {f.__name__: f for f in own}
+
+
+_LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+
+
+def _canonical_sql(text: str) -> str:
+    t = f"lower(coalesce({text}, ''))"
+    t = f"regexp_replace({t}, '(^|\\n)[^\\p{{L}}\\p{{N}}\\n]*(copyright|©|\\(c\\))[ \\t]*(\\(c\\)|©|[0-9]{{4}}|by )[^\\n]*', '\\1', 'g')"
+    t = f"regexp_replace({t}, '(^|\\n)[^\\p{{L}}\\p{{N}}\\n]*all rights reserved[^\\p{{L}}\\p{{N}}\\n]*', '\\1', 'g')"
+    t = f"regexp_replace({t}, '[^\\p{{L}}\\p{{N}}\\n]+', ' ', 'g')"
+    for other, spelled in licences.SPELLINGS:
+        t = f"replace({t}, '{other}', '{spelled}')"
+    return f"trim(regexp_replace({t}, ' *\\n[ \\n]*', chr(10), 'g'))"
+
+
+def _licence_sql() -> str:
+    quoted = lambda x: "'" + x.replace("'", "''") + "'"
+    known = ", ".join(f"({quoted(n)}, {quoted(t)})" for n, t in licences.NOTICES)
+    return f"""WITH known AS (SELECT sha256(form) AS digest, min(licence) AS licence FROM (SELECT licence, trim(replace({_canonical_sql("t")}, chr(10), ' ')) AS form FROM (VALUES {known}) v(licence, t)) f GROUP BY 1),
+ doc AS (SELECT doc_id, {_canonical_sql("text")} AS form FROM documents), lines AS (SELECT DISTINCT doc_id, licence FROM (SELECT doc_id, unnest(string_split(form, chr(10))) AS line FROM doc) l JOIN known ON digest = sha256(line))
+ SELECT doc_id, sha256(replace(form, chr(10), ' ')) AS canonical_sha256, known.licence, coalesce((SELECT string_agg(lines.licence, ',' ORDER BY lines.licence) FROM lines WHERE lines.doc_id = doc.doc_id), '') AS notices
+ FROM doc LEFT JOIN known ON digest = sha256(replace(form, chr(10), ' '))"""
+
+
+def _mixing_sql() -> str:
+    """The same grid search, written out round by round, and the same keyed orders."""
+    grid, rounds, goal = mixing.GRID, mixing.ROUNDS, MIXTURE["entropy"]
+    parts = [
+        "sized AS (SELECT doc_id, coalesce(source, '') AS source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) AS tokens, md5('%d:' || doc_id) AS h FROM documents)" % MIXTURE["seed"],
+        "totals AS (SELECT source, CAST(sum(tokens) AS BIGINT) AS source_tokens FROM sized GROUP BY source)",
+        "share AS (SELECT source_tokens / (SELECT CAST(sum(source_tokens) AS DOUBLE) FROM totals) AS p FROM totals WHERE source_tokens > 0)",
+        "r0 AS (SELECT CAST(0.0 AS DOUBLE) AS low, CAST(1.0 AS DOUBLE) AS high)",
+    ]
+    for k in range(rounds):
+        parts.append(f"g{k} AS (SELECT low, high, i, low + (high - low) * i / {grid} AS a FROM r{k}, (SELECT unnest(generate_series(0, {grid})) AS i) s)")
+        parts.append(f"h{k} AS (SELECT any_value(low) AS low, any_value(high) AS high, i, a, ln(sum(pow(p, a))) - sum(pow(p, a) * ln(pow(p, a))) / sum(pow(p, a)) AS h FROM g{k}, share GROUP BY i, a)")
+        parts.append(f"b{k} AS (SELECT low, high, coalesce((SELECT max(i) FROM h{k} WHERE h >= {goal} * (SELECT ln(count(*)) FROM share) - 1e-12), 0) AS i FROM r{k})")
+        parts.append(f"r{k + 1} AS (SELECT low + (high - low) * i / {grid} AS low, low + (high - low) * least(i + 1, {grid}) / {grid} AS high FROM b{k})")
+    parts += [
+        f"final AS (SELECT low AS a FROM r{rounds})",
+        "norm AS (SELECT sum(pow(p, a)) AS s FROM share, final)",
+        f"weighed AS (SELECT source, source_tokens, CASE WHEN source_tokens > 0 THEN pow(source_tokens / (SELECT CAST(sum(source_tokens) AS DOUBLE) FROM totals), (SELECT a FROM final)) / (SELECT s FROM norm) ELSE 0 END AS weight, least({mixing.MOST_BLOCKS}, source_tokens // {mixing.BLOCK_TOKENS} + 1) AS n_blocks FROM totals)",
+        f"parted AS (SELECT *, CAST(floor(weight * CAST((SELECT sum(source_tokens) FROM totals) AS DOUBLE) * {MIXTURE['budget_share']}) AS BIGINT) AS part FROM weighed)",
+        "placed AS (SELECT s.*, w.source_tokens, w.weight, w.part, CAST('0x' || substr(h, 1, 8) AS BIGINT) % n_blocks AS block FROM sized s JOIN parted w USING (source))",
+        f"blocks AS (SELECT source, block, row_number() OVER o AS block_rank, CAST(sum(t) OVER o - t AS BIGINT) AS before FROM (SELECT source, block, sum(tokens) AS t FROM placed GROUP BY 1, 2) q WINDOW o AS (PARTITION BY source ORDER BY md5('{MIXTURE['seed']}/' || block), block))",
+        "ranked AS (SELECT p.*, block_rank, before + CAST(sum(tokens) OVER (PARTITION BY p.source, p.block ORDER BY h, doc_id, tokens ROWS UNBOUNDED PRECEDING) AS BIGINT) - tokens AS start FROM placed p JOIN blocks b ON p.source = b.source AND p.block = b.block)",
+    ]
+    return f"WITH {', '.join(parts)} SELECT doc_id, source, CAST(tokens AS BIGINT) AS tokens, source_tokens, round(weight, 9) AS weight, CAST(block AS BIGINT) AS block, CAST(block_rank AS BIGINT) AS block_rank, start, CAST(part // greatest(source_tokens, 1) + CASE WHEN start < part % greatest(source_tokens, 1) THEN 1 ELSE 0 END AS BIGINT) AS copies FROM ranked"
+
+
+def oracle_sql() -> dict[str, str]:
+    groups = "(PARTITION BY t)"
+    return {
+        "op1_exact_dedup": f"SELECT doc_id, max(doc_id) OVER {groups} AS keep_id, count(*) OVER {groups} AS group_size, doc_id = max(doc_id) OVER {groups} AS kept, sha256(t) AS text_sha256 FROM (SELECT doc_id, {_LOWER} AS t FROM documents) q",
+        "op3_source_mixing": _mixing_sql(),
+        "op4_licence_scan": _licence_sql(),
+        "op5_warc_archive": f"SELECT page_id, payload_bytes, sha1(p) AS payload_digest, CASE WHEN payload_bytes >= {warc.REVISIT_FROM} AND page_id <> last THEN 'revisit' ELSE 'response' END AS record_type, CASE WHEN payload_bytes >= {warc.REVISIT_FROM} AND page_id <> last THEN last END AS refers_to FROM (SELECT page_id, p, CAST(strlen(p) AS BIGINT) AS payload_bytes, max(page_id) OVER (PARTITION BY p) AS last FROM (SELECT page_id, coalesce(html, '') AS p FROM pages) a) b",
+    }
