@@ -57,12 +57,18 @@ def features(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return index[order], np.searchsorted(at[order], first)
 
 
-def train(labelled: DataFrame, label_col: str = "quality", text_col: str = "text", id_col: str = "doc_id") -> dict:
-    """Weights and bias from at most MOST_TRAIN labelled rows, those first in the order of the md5 of their ids.
+def train(docs: DataFrame, labels: DataFrame, label_col: str = "quality", text_col: str = "text", id_col: str = "doc_id") -> dict:
+    """Weights and bias from the texts of at most MOST_TRAIN labelled ids, those first in the order of the md5 of their ids.
 
-    Null labels are left out; without labelled rows, or with one label only, every text gets the share of label 1 (0.5 without rows).
+    The sample is drawn from the labels alone, so no text is moved but its own.  Null labels are left out; of rows with one id the largest label
+    and text count; ids without a document bring nothing.  Without labelled rows, or with one label only, every
+    text gets the share of label 1 (0.5 without rows).
     """
-    chosen = labelled.filter(F.col(label_col).isNotNull()).select(F.md5(F.coalesce(F.col(id_col).cast("string"), F.lit(""))).alias("h"), F.col(label_col).cast("int").alias("y"), F.col(text_col).cast("string").alias("text")).orderBy("h", "y", "text").limit(MOST_TRAIN)
+    marks = labels.filter(F.col(label_col).isNotNull() & F.col(id_col).isNotNull()).groupBy(id_col).agg(F.max(F.col(label_col).cast("int")).alias("y"))
+    sample = marks.select(F.col(id_col).alias("_id"), "y", F.md5(F.col(id_col).cast("string")).alias("h")).orderBy("h").limit(MOST_TRAIN)
+    own = docs.select(F.col(id_col).alias("_id"), F.col(text_col).cast("string").alias("text"))
+    joined = own.join(F.broadcast(sample), "_id")  # MOST_TRAIN rows
+    chosen = joined.groupBy("h", "y").agg(F.max("text").alias("text"))
 
     def run(batches):
         for whole in batches:

@@ -73,7 +73,7 @@ def op9_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
 def quality_model(docs: DataFrame, labels: DataFrame) -> dict:
     """Trained on labelled rows whose crc32 of the id as text, modulo 5, is not 0."""
     seen = labels.filter(F.crc32(F.col("doc_id").cast("string")) % 5 != 0).select("doc_id", "quality")
-    return quality.train(docs.select("doc_id", "text").join(seen, "doc_id"))
+    return quality.train(docs, seen)
 
 
 def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
