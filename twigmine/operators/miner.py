@@ -12,7 +12,6 @@ from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -20,12 +19,13 @@ from ..graph import Graph
 from ..model.pattern import FREE, HIDDEN, PINNED, Pattern, all_marks, pattern_key, pattern_of_key
 from ..model.shape import Levels, shapes, tree_key
 from ..plans.twig import cube_tables, n, support_table
+from ..storage import cut
 from .catalog import COLUMNS, Catalog, Tables, empty, own_order
 
+#: Patterns counted by one job: what bounds the size of its plan.
+PER_JOB = 24
 #: Levels at which pins may only take their parents' values: below, every node is a candidate anyway.
 FIRST_RESTRICTED = 2
-#: Rows of a level up to which the allowed values of its pins are broadcast (about 40 bytes a row).
-MOST_BROADCAST = 500_000
 
 
 @dataclass
@@ -90,7 +90,6 @@ def candidates(p: Pattern, store: Tables, g: Graph) -> DataFrame:
     if not p.pins:
         raise ValueError("a pattern without pins has no candidate assignments")
     tables = [(q, store.wide(q).drop("freq")) for q in p.parents()]
-    gates = [t for q, t in tables if not q.pins]
     own = sorted((t for q, t in tables if q.pins), key=lambda t: -len(t.columns))
     if not own:
         out = g.nodes.select(F.col("id").alias(n(p.pins[0])))
@@ -104,7 +103,6 @@ def candidates(p: Pattern, store: Tables, g: Graph) -> DataFrame:
             # A gate is one row or none, read as a truth value.
             if store.table(q).isEmpty():
                 out = out.limit(0)
-    del gates
     return out.select(*[n(i) for i in p.pins]).distinct()
 
 
@@ -147,7 +145,6 @@ def mine_tree(g: Graph, levels: Levels, minsup: int, dedup: str = "full", order:
     metrics = metrics or Metrics()
     out, kept, rows = empty(g.spark, g.node_type), set(), []
     batches: dict[tuple, set[Pattern]] = {(0,): {Pattern(levels, FREE * len(levels))}} if order == "level" else {(0, 0): {Pattern(levels, FREE * len(levels))}}
-    done: list[tuple[DataFrame, DataFrame]] = []
     while batches:
         at = min(batches)
         batch = sorted(batches.pop(at), key=lambda p: p.marks)
@@ -161,11 +158,11 @@ def mine_tree(g: Graph, levels: Levels, minsup: int, dedup: str = "full", order:
             allowed = allowed_values(p, store) if p.level >= FIRST_RESTRICTED and len(p.pins) >= 1 else {}
             parts.append(tall(g, p, support_table(g, p, minsup=minsup, strategy=strategy, allowed=allowed)))
         metrics.support_queries += len(batch)
-        metrics.jobs += 1
-        found = reduce(DataFrame.unionByName, parts).distinct() if dedup in ("none", "redundancy") else reduce(DataFrame.unionByName, parts)
-        found = found.persist(StorageLevel.MEMORY_AND_DISK)
+        metrics.jobs += -(-len(parts) // PER_JOB)
+        found = reduce(DataFrame.unionByName, [cut(reduce(DataFrame.unionByName, parts[k : k + PER_JOB]), "level") for k in range(0, len(parts), PER_JOB)])
+        if dedup in ("none", "redundancy"):
+            found = cut(found.distinct(), "level")
         counts = {r.pattern_key: r["count"] for r in found.groupBy("pattern_key").count().collect()}
-        done.append((found, found))
         kept |= counts.keys()
         metrics.patterns += sum(counts.values())
         metrics.classes += len(counts)
@@ -202,7 +199,8 @@ def mine_tree_cube(g: Graph, levels: Levels, minsup: int, metrics: Metrics) -> D
     metrics.jobs += 1
     wanted = g.spark.createDataFrame([(p.marks, pattern_key(p), p.level) for p in all_marks(levels, "full")], "marks string, pattern_key string, level int")
     found = reduce(DataFrame.unionByName, parts).join(F.broadcast(wanted), "marks")  # at most 3 ** nodes rows
-    found = found.select(F.lit(len(levels)).alias("n_nodes"), F.lit(tree_key(levels)).alias("tree_key"), "pattern_key", "level", "pins", "freq").persist(StorageLevel.MEMORY_AND_DISK)
+    found = found.select(F.lit(len(levels)).alias("n_nodes"), F.lit(tree_key(levels)).alias("tree_key"), "pattern_key", "level", "pins", "freq")
+    found = cut(found, "cube")
     counts = found.groupBy("pattern_key").count().collect()
     metrics.patterns += sum(r["count"] for r in counts)
     metrics.classes += len(counts)
@@ -249,7 +247,8 @@ def flock(g: Graph, p: Pattern, minsup: int, strategy: str = "fold") -> Mined:
         parts = [tall(g, q, support_table(g, q, minsup=minsup, strategy=strategy, allowed=allowed_values(q, Tables(allowed_rows)) if len(q.pins) > 1 else None)) for q in level]
         metrics.support_queries += len(level)
         metrics.jobs += 1
-        found = reduce(DataFrame.unionByName, parts).dropDuplicates(["pattern_key", "pins"]).persist(StorageLevel.MEMORY_AND_DISK)
+        found = reduce(DataFrame.unionByName, parts).dropDuplicates(["pattern_key", "pins"])
+        found = cut(found, "flock")
         counts = {r.pattern_key: r["count"] for r in found.groupBy("pattern_key").count().collect()}
         metrics.patterns += sum(counts.values())
         kept |= counts.keys()

@@ -165,7 +165,7 @@ for _k in range(4):
 
 
 def _mined(g: str, minsup: int, size: int, **how) -> tuple[Query, str]:
-    patterns = [p for t in shapes(size) for p in all_marks(t, "full")]
+    patterns = [p for t in shapes(size, how.get("min_height", 0)) for p in all_marks(t, "full")]
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         found = mine(kept(g, spark, sf_dir), minsup, size, **how).tables.support
@@ -180,7 +180,7 @@ def _mined(g: str, minsup: int, size: int, **how) -> tuple[Query, str]:
 
 add("mine_v1_size3", *_mined("key_step_3d_22", 10, 3, dedup="none", order="double"))
 add("mine_v2_size3", *_mined("page_links", 5, 3))
-add("mine_v2_size4", *_mined("key_step_3d_22", 25, 4))
+add("mine_v2_size4", *_mined("key_step_3d_22", 25, 4, min_height=2))
 add("mine_cube_size3", *_mined("page_links", 10, 3, strategy="cube"))
 add("mine_cube_size4", *_mined("key_step_3d_22", 10, 4, strategy="cube"))
 add("mine_no_copies_size3", *_mined("key_step_3d_22", 10, 3, dedup="canonical"))
