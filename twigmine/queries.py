@@ -12,12 +12,13 @@ from .model.contain import fold_maps
 from .model.pattern import Pattern, all_marks
 from .model.query import TreeQuery, parse_pattern, pure, to_sql
 from .model.shape import shapes
-from .operators import browse, rules
+from .operators import browse, relops, rules
 from .operators.catalog import Tables, diff
 from .operators.miner import candidates, flock, mine, mine_tree
 from .oracles import edge_sql, rules_sql, tall_sql, with_edges
 from .plans.twig import answer_set, matchings, n, support_table
 from .sources.datagraphs import GRAPHS
+from .streaming import queries as stream_queries
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -363,4 +364,8 @@ def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     return padded(mine(kept("page_links", spark, sf_dir), 3, 3).tables.support, 3, "pattern_key")
 
 
+for _module in (relops, stream_queries):
+    QUERIES |= _module.QUERIES
+    ORACLES |= _module.ORACLES
+
 __all__ = ["ORACLES", "QUERIES", "entry", "fold_maps"]

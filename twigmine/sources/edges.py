@@ -59,10 +59,10 @@ def close_pairs(events: DataFrame, seconds: int, key: str = "user_id", ts: str =
 
     A range join by time buckets: each event stands in its bucket and its right sides in two, so only neighbours meet.
     """
-    e = events.select(F.col(key).alias("key"), F.col(ts).alias("t"), F.col(node).alias("node"), F.floor(F.unix_seconds(ts) / seconds).alias("slot"))
+    e = events.select(F.col(key).alias("key"), F.col(ts).alias("t"), F.col(node).alias("node"), F.floor(F.unix_timestamp(ts) / seconds).alias("slot"))
     right = e.select("key", F.col("t").alias("t2"), F.col("node").alias("b"), F.explode(F.array("slot", F.col("slot") - 1)).alias("slot"))
     later = (F.col("t2") > F.col("t")) | (F.col("t2") == F.col("t")) & (F.col("b") > F.col("node"))
-    near = F.unix_micros("t2") - F.unix_micros("t") <= seconds * 1_000_000
+    near = F.unix_micros(F.col("t2").cast("timestamp")) - F.unix_micros(F.col("t").cast("timestamp")) <= seconds * 1_000_000
     return e.join(right, ["key", "slot"]).filter(later & near).select(F.col("node").alias("a"), "b")
 
 

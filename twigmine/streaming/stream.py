@@ -16,9 +16,13 @@ from ..plans.twig import support_table
 
 
 def event_stream(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
-    """The events folder or file as a stream."""
+    """The events folder, or a single file, as a stream.  Watermarks need times with a zone: a time without one is read in the session's."""
     kind = spark.read.parquet(path).schema
-    return spark.readStream.schema(kind).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", "*.parquet").parquet(path)
+    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    single = place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(place).isFile()
+    folder, _, name = path.rpartition("/")
+    rows = spark.readStream.schema(kind).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", name if single else "*.parquet").parquet(folder if single else path)
+    return rows.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def edge_stream(events: DataFrame) -> DataFrame:
