@@ -5,23 +5,24 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BooleanType, IntegerType, LongType, StringType, StructField, StructType
 
 from ..model.contain import covers_free, fold_maps
 from ..model.pattern import Pattern, pattern_key, pattern_of_key
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(StringType())
 def pattern_key_udf(levels: pd.Series, marks: pd.Series) -> pd.Series:
     """Canonical key of a pattern given as levels ARRAY<INT> and marks STRING."""
     return pd.Series([None if v is None or m is None else pattern_key(Pattern(tuple(int(x) for x in v), m)) for v, m in zip(levels, marks, strict=True)])
 
 
-@F.pandas_udf("boolean")
+@F.pandas_udf(BooleanType())
 def redundant_udf(levels: pd.Series, marks: pd.Series) -> pd.Series:
     return pd.Series([None if v is None or m is None else Pattern(tuple(int(x) for x in v), m).has_redundancy() for v, m in zip(levels, marks, strict=True)])
 
 
-@F.udtf(returnType="fold array<int>, rho array<int>, legal boolean")
+@F.udtf(returnType=StructType([StructField("fold", ArrayType(IntegerType())), StructField("rho", ArrayType(IntegerType())), StructField("legal", BooleanType())]))
 class FoldMaps:
     """One row per fold map of the lhs pattern into the rhs pattern, both by key."""
 
@@ -34,9 +35,9 @@ class FoldMaps:
             yield list(f), [numbers[f[i]] for i in p.pins], covers_free(f, q, p)
 
 
-@F.udtf(returnType="pattern_key string, pins array<string>, freq bigint")
+@F.udtf(returnType=StructType([StructField("pattern_key", StringType()), StructField("pins", ArrayType(StringType())), StructField("freq", LongType())]))
 class MineSmall:
-    """mine_tree_patterns(TABLE(edges), minsup, max_nodes) for a graph that one task holds: brute force over its patterns."""
+    """mine_tree_patterns(TABLE(edges) WITH SINGLE PARTITION, minsup, max_nodes) for a graph that one task holds: brute force over its patterns."""
 
     def __init__(self):
         self.edges, self.minsup, self.most = set(), 1, 1
@@ -71,7 +72,7 @@ class MineSmall:
 def distinct_at_least(k: int):
     """Aggregate: whether a group has k different values, counted no further than k."""
 
-    @F.pandas_udf("boolean")
+    @F.pandas_udf(BooleanType())
     def run(values: pd.Series) -> bool:
         seen = set()
         for v in values:
