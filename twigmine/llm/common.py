@@ -6,6 +6,7 @@ one in ten million at ten million words.
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 
@@ -57,6 +58,15 @@ def width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def trim() -> None:
+    """Give freed memory of this Python worker back to the system: workers live on between tasks."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        return
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """Finaliser that spreads every input bit over 64 bits."""
     x = x ^ (x >> np.uint64(30))
