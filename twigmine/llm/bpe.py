@@ -14,10 +14,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql.types import StringType, StructField, StructType
 
-from .common import pieces
+from .common import pieces, trim
 
 #: Words kept by a Python worker, about 100 bytes each; when full the memory starts anew.
-MOST_KEPT = 400_000
+MOST_KEPT = 200_000
 NO_RANK = np.int64(1) << 40
 
 
@@ -168,6 +168,7 @@ def encode(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
     def run(batches):
         coder = Encoder(tables.value)
         for whole in batches:
+            trim()
             for batch in pieces(whole, "text"):
                 coded = coder.encode([t or "" for t in batch.column("text").to_pylist()])
                 yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([len(c) // 4 for c in coded], pa.int64()), pa.array(coded, pa.binary())], ["id", "n_tokens", "token_ids"])

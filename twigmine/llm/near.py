@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hashed_words, mix, pieces, store
+from .common import hashed_words, mix, pieces, store, trim
 from .components import components
 
 K, PICKS, SKETCHES, SIMILARITY = 5, 2, 16, 0.8
@@ -230,6 +230,7 @@ def pairs_verified(rows: DataFrame, same: DataFrame, pairs: DataFrame, least: fl
             for at in range(0, whole.num_rows, 1000):
                 part = whole.slice(at, 1000)
                 texts = [(np.frombuffer(x, "<u4"), np.frombuffer(y, "<u4")) for x, y in zip(part.column("wa").to_pylist(), part.column("wb").to_pylist(), strict=True)]
+                trim()
                 found = edit_distances(texts, [similarity_at_least(x, y, least) for x, y in texts])
                 keep = pa.array([d >= 0 for d in found])
                 yield pa.RecordBatch.from_arrays([part.column("rep").filter(keep), part.column("leader").filter(keep)], ["a", "b"])
