@@ -82,3 +82,24 @@ def test_refreshed_tables(spark, sf, tmp_path):
     g = load(spark.read.parquet(str(tmp_path / "r/edges")))
     p = parse_pattern("x(#a)").pattern
     assert found.filter("pattern_key = '0d1p'").count() == support_table(g, p, minsup=3).count()
+
+
+def test_likely_neighbours(spark):
+    from twigmine.sources.datagraphs import likely_neighbours, top_neighbours
+
+    v = spark.read.parquet("/root/testdata/sf0.01/embeddings.parquet").select("vec_id", "embedding")
+    exact = {tuple(r) for r in top_neighbours(v, 5, blocks=3).collect()}
+    assert exact == {tuple(r) for r in top_neighbours(v, 5).collect()}
+    found = {tuple(r) for r in likely_neighbours(v, 5, length=0.5, tables=16, reach=1.4).collect()}
+    assert len(exact & found) >= 0.9 * len(exact)
+
+
+def test_slow_log_and_shares(spark):
+    from twigmine.operators.browse import shares
+    from twigmine.operators.miner import mine
+    from twigmine.operators.slowlog import slow_log
+
+    g = load(spark.createDataFrame([(1, 2), (1, 3), (2, 3)], "src bigint, dst bigint"))
+    rows = slow_log(g, [parse_pattern("x(y)").pattern, parse_pattern("x(#a)").pattern]).collect()
+    assert {(r.pattern_key, r.n_rows, r.total) for r in rows} == {("0d1d", 1, 3), ("0d1p", 2, 3)}
+    assert shares(mine(g, 3, 1).tables, g).first().share == 1.0

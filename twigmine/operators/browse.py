@@ -53,3 +53,9 @@ def hot_constants(store: Tables, count: int = 10) -> DataFrame:
 
 def compare(a: Tables, b: Tables) -> DataFrame:
     return diff(a.support, b.support)
+
+
+def shares(store: Tables, g: Graph) -> DataFrame:
+    """pattern_key, pins, freq, share: the support as a share of the graph's nodes."""
+    nodes = g.nodes.agg(F.count(F.lit(1)).alias("n"))
+    return store.support.crossJoin(F.broadcast(nodes)).select("pattern_key", "pins", "freq", (F.col("freq") / F.col("n")).alias("share"))  # nodes is one row

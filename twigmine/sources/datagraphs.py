@@ -94,6 +94,19 @@ def top_neighbours(vectors: DataFrame, k: int = 5, blocks: int | None = None) ->
     return met.withColumn("place", F.row_number().over(order)).filter(F.col("place") <= k).select("a", "b")
 
 
+def likely_neighbours(vectors: DataFrame, k: int = 5, length: float = 1.0, tables: int = 8, reach: float = 1.0, seed: int = 1) -> DataFrame:
+    """a, b as top_neighbours gives, from pairs that share a random-projection bucket and are within reach on the unit sphere: approximate."""
+    from pyspark.ml.feature import BucketedRandomProjectionLSH, Normalizer
+    from pyspark.ml.functions import array_to_vector
+
+    v = vectors.select(F.col("vec_id").alias("id"), array_to_vector(F.col("embedding").cast("array<double>")).alias("v"))
+    unit = Normalizer(inputCol="v", outputCol="u").transform(v).select("id", "u")
+    model = BucketedRandomProjectionLSH(inputCol="u", outputCol="h", bucketLength=length, numHashTables=tables, seed=seed).fit(unit)
+    met = model.approxSimilarityJoin(unit, unit, reach, "d").select(F.col("datasetA.id").alias("a"), F.col("datasetB.id").alias("b"), F.round(1 - F.col("d") * F.col("d") / 2, 6).alias("cos")).filter("a <> b")
+    order = Window.partitionBy("a").orderBy(F.desc("cos"), "b")
+    return met.withColumn("place", F.row_number().over(order)).filter(F.col("place") <= k).select("a", "b")
+
+
 def embedding_neighbors(spark, sf_dir) -> Graph:
     near = top_neighbours(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
     return symmetric(Graph(near.select(F.col("a").cast("string").alias("src"), F.col("b").cast("string").alias("dst"))))
