@@ -15,8 +15,11 @@ PREFIX = 64
 
 
 def lowered(text: Column) -> Column:
-    """Text with A-Z lower-cased; null is empty."""
-    return F.translate(F.coalesce(text.cast("string"), F.lit("")), string.ascii_uppercase, string.ascii_lowercase)
+    """Text with A-Z lower-cased; null is empty.
+
+    Texts of ASCII alone, as many bytes as characters, take Spark's quick lower, which does the same there."""
+    text = F.coalesce(text.cast("string"), F.lit(""))
+    return F.when(F.octet_length(text) == F.length(text), F.lower(text)).otherwise(F.translate(text, string.ascii_uppercase, string.ascii_lowercase))
 
 
 def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", every_digest: bool = False) -> DataFrame:
@@ -31,8 +34,9 @@ def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     Content is never shuffled: while the shared keys fit MOST_BROADCAST the second reading knows them before it
     hashes; beyond that it hashes all content below the exchange, and the keys meet in a join that AQE can split.
     """
-    rows = docs.select(F.col(id_col).alias("id"), lowered(F.col(text_col)).alias("t"))
-    keyed = rows.select("id", F.length("t").alias("n"), F.xxhash64(F.substring("t", 1, PREFIX)).alias("p"), "t")
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    # Lower-casing keeps the length, and a prefix needs no more than itself lowered: the first reading leaves the rest as it is.
+    keyed = docs.select(F.col(id_col).alias("id"), F.length(text).alias("n"), F.xxhash64(lowered(F.substring(text, 1, PREFIX))).alias("p"), lowered(text).alias("t"))
     by_key = keyed.groupBy("n", "p").agg(F.count(F.lit(1)).alias("c"))
     # A length that one row has needs no look at its prefix: such a key is single as well.
     shared = store(by_key.filter("c > 1").select("n", "p"), "exact-keys")
