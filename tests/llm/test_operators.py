@@ -446,6 +446,8 @@ def test_main_text(spark):
     prose = "The cat sat on the mat and it was there for all of the day with a hat that is in the house. " * 4
     plain = f"<div><a href=1>a</a> <a href=2>b</a></div><div>{prose}</div><p>Tiny bit</p><div>{prose}</div><div><a href=3>Next</a></div>"
     assert html.main_text(plain).split("\n") == [prose.strip(), "Tiny bit", prose.strip()]
+    wrapped = f'<div class="page has-sidebar with-ads"><main id="content"><p>{prose}</p></main><article class="comment"><p>{prose}</p></article><div id="mainMenu">{prose}</div></div>'
+    assert html.main_text(wrapped) == prose.strip()
     for odd_page in (None, "", "<", "<p", "<p class='x", "text only", "<script>never closed", "</p></div>", "<a href=\"x>y", "<![CDATA[x]]>", "<p>" * 3000 + "x", "<!-- open"):
         html.main_text(odd_page)
     df = spark.createDataFrame([(1, "u", PAGE), (1, "u", PAGE), (2, None, None), (None, "v", "")], "page_id bigint, url string, html string").withColumn("text", F.lit("clash"))

@@ -27,6 +27,8 @@ RAW = frozenset("script style textarea title noscript iframe xmp noembed noframe
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 # Words of class, id and role that mark what is no article.
 HINTS = frozenset("ad ads advert adverts advertisement advertising sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices alert popup modal overlay newsletter subscribe subscription signup login comment comments respond disqus reply replies sidebar aside widget widgets related recommended share sharing social breadcrumb breadcrumbs menu nav navbar navigation pager pagination toolbar footer masthead contentinfo complementary search searchbox dialog toc skip hidden".split())
+#: Those that mark even an article element as none of the page's own.
+NO_STORY = frozenset("ad ads advert advertisement sponsor sponsored promo promotion comment comments reply replies related recommended".split())
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*+)>", re.S)
 ATTRIBUTE = re.compile(r"([a-zA-Z-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
 CUT = re.compile(r"[^a-z0-9]+")
@@ -36,13 +38,19 @@ HUMP = re.compile(r"([a-z])([A-Z])")
 SHORT, LONG, MOST_LINKS, FEW_STOPS, MANY_STOPS = 70, 200, 0.2, 0.30, 0.32
 
 
-def hinted(attributes: str) -> bool:
+def words_of(value: str) -> set[str]:
+    """Words of a class, id or role; what a page has, or has not, (has-sidebar) is left out."""
+    words = CUT.split(HUMP.sub(r"\1 \2", value).lower())
+    return {w for k, w in enumerate(words) if not (k and words[k - 1] in ("has", "with", "no", "without"))}
+
+
+def hinted(attributes: str, hints: frozenset = HINTS) -> bool:
     """Whether an element's class, id, role or style mark it as no article."""
     if "=" not in attributes and "hidden" not in attributes:
         return False
     for name, a, b, c in ATTRIBUTE.findall(attributes):
         value, name = a or b or c, name.lower()
-        if name in ("class", "id", "role") and not HINTS.isdisjoint(CUT.split(HUMP.sub(r"\1 \2", value).lower())):
+        if name in ("class", "id", "role") and any(not hints.isdisjoint(words_of(part)) for part in value.split()):
             return True
         if name == "aria-hidden" and value.lower() == "true" or name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I):
             return True
@@ -115,7 +123,7 @@ def blocks_of(page: str) -> list[tuple[str, int, bool, int]]:
                 if name in ("article", "main") and not inside:
                     articles += 1
                     inside = articles
-                gone = name in AWAY or name == "header" and not inside or hinted(attributes) and name not in ("html", "body", "article", "main")
+                gone = name in AWAY or name == "header" and not inside or name not in ("html", "body", "main") and hinted(attributes, NO_STORY if name == "article" else HINTS)
                 stack.append((name, gone, inside))
                 state()
     close()
