@@ -423,6 +423,22 @@ def test_large_group_of_near_copies(spark):
     assert {r.class_id for r in got} == {299} and sum(r.kept for r in got) == 1
 
 
+def test_star_of_near_copies(spark):
+    """Copies that are like a common text only, whose id is the smallest: one class, as all its links run over that text."""
+    rng = np.random.default_rng(5)
+    base = [f"b{i}" for i in range(400)]
+    rows = [(0, " ".join(base), None, None, 1)]
+    for k in range(1, 121):
+        w = list(base)
+        for i in rng.choice(400, 48, replace=False):
+            w[i] = f"other{k}_{i}"
+        rows.append((k, " ".join(w), None, None, 1))
+    sketches = near.sketch_texts(pa.array([r[1] for r in rows]))[2]
+    reached = {k for k in range(1, 121) if (sketches[k] == sketches[0]).any()}
+    got = {r.doc_id: r.class_id for r in near.near_duplicates(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert len(reached) > 90 and all(got[k] == got[0] == max(reached) for k in reached)
+
+
 def test_components(spark):
     links = [(i, i + 1) for i in range(40)] + [(100, k) for k in range(101, 140)] + [(7, 7), (200, 201), (200, 201)]
     got = {r.node: r.component for r in components(spark.createDataFrame(links, "a bigint, b bigint")).collect()}

@@ -13,10 +13,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hashed_words, mix, pieces, store, trim
+from .common import hashed_words, mix, pieces, release, store, trim
 from .components import components
 
 K, PICKS, SKETCHES, SIMILARITY = 5, 2, 16, 0.8
+#: Members of a bucket that lead in the second round, and how many times as many in each further one; leaders of a bucket that one task meets.
+LEADERS, BLOCK = 16, 64
 _G = np.uint64
 
 
@@ -172,8 +174,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """One row per row of docs: id, class_id (largest id of its class), kept (it is that id), n_words.
 
     Texts with the same words (A-Z lower-cased) are one class from the start and go on as one representative.
-    Representatives that share a sketch are compared with the largest id among them; those that share two sketches
-    in a row, with the largest id among those: no bucket gives all its pairs, and a text has 2 * SKETCHES pairs at most.  Verified
+    Representatives that share a key are compared with the largest id among them, then in rounds with more of them, until no
+    pair of a bucket is left that is neither compared nor in one class (see linked).  Verified
     pairs are links, and classes are the connected components.  Null texts are empty, and all empty texts one class.  Rows with a
     null id join the class of an equal text with an id, or have a null class.  Rows with one id and different texts share their class.
     """
@@ -193,22 +195,52 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     same = store(same, "near-classes")
     single = F.expr("transform(sketches, (x, i) -> xxhash64(x, i))")
     double = F.expr(f"transform(sketches, (x, i) -> xxhash64(x, sketches[(i + 1) % {SKETCHES}], i, 'two'))")
-    keys = same.filter("n > 0 and rep is not null").select("rep", F.explode(F.concat(single, double)).alias("key"))
+    keys = same.filter("n > 0 and rep is not null").select("rep", "n", F.explode(F.concat(single, double)).alias("key"))
     leaders = keys.groupBy("key").agg(F.max("rep").alias("leader"), F.count(F.lit(1)).alias("c")).filter("c > 1")
-    pairs = store(keys.join(leaders, "key").filter("rep <> leader").select("rep", "leader").distinct(), "near-pairs")
-    links = pairs_verified(rows, same, pairs, least)
-    of = components(store(links, "near-links"))
+    of = linked(rows, store(keys.join(leaders, "key"), "near-keys"), least)
     joined = sketched.join(same.select("sig1", "sig2", "rep"), ["sig1", "sig2"]).join(of, F.col("rep") == F.col("node"), "left")
     class_id = F.coalesce("component", "rep")
     return joined.select(F.col("id").alias(id_col), class_id.alias("class_id"), F.col("id").eqNullSafe(class_id).alias("kept"), "n_words")
 
 
-def pairs_verified(rows: DataFrame, same: DataFrame, pairs: DataFrame, least: float) -> DataFrame:
-    """Of pairs (rep, leader) of ids of rows, those whose texts are similar enough: a, b.
+def linked(rows: DataFrame, shared: DataFrame, least: float) -> DataFrame:
+    """node, component of the representatives of shared (key, rep, n, leader, c) that are linked to another one.
 
-    Only representatives that stand in a pair have their words sent; of rows with one id the longest text counts.
+    First every member of a bucket of c meets its leader.  In each further round LEADERS times as many members of a bucket lead, drawn by a hash,
+    and meet all members that are not in their class; the last round has every member lead.  Buckets of one class, or
+    whose members have all led, are done, so a bucket of like texts ends early and no pair that can be a new link is left out.
+    A leader's rows are dealt by BLOCK leaders of a bucket, so no task has more than so many times a bucket's rows.
     """
-    need = pairs.select(F.col("rep").alias("id")).union(pairs.select(F.col("leader").alias("id"))).distinct()
+    words = words_of(rows, shared.select(F.col("rep").alias("id")).distinct())
+    tested = store(shared.filter("rep <> leader").select("rep", "leader").distinct(), "near-pairs")
+    links = store(pairs_verified(words, tested, least), "near-links")
+    of = components(links)
+    # Buckets of two have had their only pair.
+    largest = shared.agg(F.max("c")).first()[0] or 0
+    last, bound = 0, LEADERS
+    while largest > 2 and last < largest:
+        turn = F.pmod(F.xxhash64("rep", F.lit("turn")), F.lit(1 << 31)) * F.col("c") / (1 << 31)
+        rest = shared.filter((F.col("c") > max(last, 2)) & (F.col("rep") != F.col("leader"))).join(of, F.col("rep") == F.col("node"), "left")
+        rest = rest.select("key", "rep", "n", "c", F.coalesce("component", "rep").alias("part"), turn.alias("turn")).filter(F.col("turn") >= last)
+        mixed = rest.groupBy("key").agg(F.min("part").alias("low"), F.max("part").alias("high")).filter("low <> high").select("key")
+        rest = store(rest.join(mixed, "key").withColumns({"leads": F.col("turn") < bound, "salts": F.ceil(F.least(F.lit(bound), F.col("c")) / BLOCK).cast("int")}), "near-open")
+        if rest.isEmpty():
+            break
+        heads = rest.filter("leads").select("key", F.pmod(F.hash("rep"), "salts").alias("salt"), F.col("rep").alias("head"), F.col("n").alias("m"), F.col("part").alias("head_part"))
+        met = rest.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).join(heads.hint("merge"), ["key", "salt"])
+        met = met.filter("part <> head_part and (not leads or rep < head)").filter(F.least("n", "m") >= least * F.greatest("n", "m") - 1e-6)
+        pairs = met.select(F.least("rep", "head").alias("rep"), F.greatest("rep", "head").alias("leader")).distinct()
+        pairs = store(pairs.join(tested, ["rep", "leader"], "left_anti"), "near-pairs")
+        tested, before = tested.union(pairs), links
+        links = store(links.union(pairs_verified(words, pairs, least)), "near-links")
+        release(rows.sparkSession, rest, before)
+        of = components(links)
+        last, bound = bound, bound * LEADERS
+    return of
+
+
+def words_of(rows: DataFrame, need: DataFrame) -> DataFrame:
+    """id, words of the rows whose ids stand in need; of rows with one id the longest text counts."""
 
     def to_words(batches):
         for whole in batches:
@@ -219,10 +251,14 @@ def pairs_verified(rows: DataFrame, same: DataFrame, pairs: DataFrame, least: fl
 
     # Every size takes the same way: a broadcast of these ids would grow with the corpus.
     wanted = rows.join(need.hint("merge"), "id", "left_semi").mapInArrow(to_words, "id bigint, words binary")
-    wanted = store(wanted.groupBy("id").agg(F.max_by("words", F.octet_length("words")).alias("words")), "near-words")
-    left = pairs.join(wanted.select(F.col("id").alias("rep"), F.col("words").alias("wa")).hint("merge"), "rep")
+    return store(wanted.groupBy("id").agg(F.max_by("words", F.octet_length("words")).alias("words")), "near-words")
+
+
+def pairs_verified(words: DataFrame, pairs: DataFrame, least: float) -> DataFrame:
+    """Of pairs (rep, leader) of ids of words, those whose texts are similar enough: a, b."""
+    left = pairs.join(words.select(F.col("id").alias("rep"), F.col("words").alias("wa")).hint("merge"), "rep")
     # Pairs whose lengths rule out the similarity need no alignment.
-    right = wanted.select(F.col("id").alias("leader"), F.col("words").alias("wb"))
+    right = words.select(F.col("id").alias("leader"), F.col("words").alias("wb"))
     both = left.join(right.hint("merge"), "leader").filter(F.least(F.octet_length("wa"), F.octet_length("wb")) >= least * F.greatest(F.octet_length("wa"), F.octet_length("wb")) - 4e-6)
 
     def verify(batches):
