@@ -423,6 +423,26 @@ def test_large_group_of_near_copies(spark):
     assert {r.class_id for r in got} == {299} and sum(r.kept for r in got) == 1
 
 
+def test_keys_reach_similar_texts(spark):
+    """Nearly all pairs of similarity 0.8 share a sketch, and all pairs of short texts a key."""
+    rng = np.random.default_rng(3)
+    base = [[f"w{k}_{i}" for i in range(400)] for k in range(200)]
+    edited = [[f"o{i}" if i in gone else w for i, w in enumerate(b)] for b in base for gone in [set(rng.choice(400, 80, replace=False).tolist())]]
+    a, b = (near.sketch_texts(pa.array([" ".join(w) for w in x]))[2] for x in (base, edited))
+    assert (a == b).any(axis=1).mean() >= 0.95
+    for _ in range(3000):
+        x = rng.integers(0, 12, rng.integers(1, near.SHORT + 1)).tolist()
+        y = list(x)
+        for _ in range(rng.integers(1, 4)):
+            at, how = int(rng.integers(0, len(y) + 1)), rng.integers(3)
+            y[at : at + (how != 0)] = [] if how == 1 else [int(rng.integers(0, 40))]
+        longest = max(len(x), len(y))
+        if y and longest <= near.SHORT and x != y and distance(x, y) <= 0.2 * longest + 1e-9:
+            assert set(near.short_keys(np.array(x, np.uint64))) & set(near.short_keys(np.array(y, np.uint64)))
+    rows = [(1, "a b c d e f g h i", None, None, 1), (2, "a b c d x f g h i", None, None, 1), (3, "k l m n o", None, None, 1), (4, "k l y n o", None, None, 1)]
+    assert {r.doc_id: r.class_id for r in near.near_duplicates(docs_of(spark, rows)).collect()} == {1: 2, 2: 2, 3: 4, 4: 4}
+
+
 def test_star_of_near_copies(spark):
     """Copies that are like a common text only, whose id is the smallest: one class, as all its links run over that text."""
     rng = np.random.default_rng(5)

@@ -2,7 +2,7 @@
 
 A text's k-mers are runs of K words; the n-th occurrence of a k-mer counts as one of its own.  A sketch takes the PICKS smallest of
 them under its own hash and keeps them in the order they have in the text, so texts share a sketch in so far as they
-share k-mers in the same order.  Texts that share one are compared by edit similarity over words:
+share k-mers in the same order.  Short texts have exact keys besides.  Texts that share a key are compared by edit similarity over words:
 1 - distance / length of the longer text, with the distance from an alignment in a band.
 """
 
@@ -16,7 +16,9 @@ from pyspark.sql import functions as F
 from .common import hashed_words, mix, pieces, release, store, trim
 from .components import components
 
-K, PICKS, SKETCHES, SIMILARITY = 5, 2, 16, 0.8
+K, PICKS, SKETCHES, SIMILARITY = 3, 2, 40, 0.8
+#: Texts of up to TINY words share a key whenever they are one edit apart; those of up to SHORT words, whenever they share a run of K words.
+TINY, SHORT = 9, 19
 #: Members of a bucket that lead in the second round, and how many times as many in each further one; leaders of a bucket that one task meets.
 LEADERS, BLOCK = 16, 64
 _G = np.uint64
@@ -85,6 +87,28 @@ def sketch_texts(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return whole, sizes, out
 
 
+def short_keys(words: np.ndarray) -> list[int]:
+    """Keys by which a text of up to SHORT words meets every text of at least SIMILARITY that is no longer than SHORT.
+
+    Of two such texts the longer has n words.  For n up to TINY one edit is allowed, and the texts agree, each with at most one word left out.
+    Above, floor(n / 5) edits leave four fifths of n words in floor(n / 5) + 1 runs at most, one of which has K words.
+    The shorter then has TINY - 1 words at least.
+    """
+    n = len(words)
+    if not 0 < n <= SHORT:
+        return []
+    forms = []
+    if n <= TINY:
+        forms += [(1, words)] + [(1, np.delete(words, i)) for i in range(n) if n > 1]
+    if n >= TINY - 1:
+        forms += [(2, words[i : i + K]) for i in range(n - K + 1)]
+    out = set()
+    for kind, part in forms:
+        place = np.arange(len(part), dtype=np.uint64)
+        out.add(int(mix(np.array([mix(part + mix(place * _G(2) + _G(1))).sum() + _G(kind)], np.uint64)).view(np.int64)[0]))
+    return sorted(out)
+
+
 def edit_distances(pairs: list[tuple[np.ndarray, np.ndarray]], most: list[int]) -> list[int]:
     """Exact edit distance of each pair of word sequences, or -1 if it is above the pair's limit.
 
@@ -188,14 +212,15 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
                 sig, sizes, sketches = sketch_texts(batch.column("text"))
                 signed = sketches.view(np.int64)
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(len(sizes) + 1) * SKETCHES, pa.int32()), pa.array(signed.ravel(), pa.int64()))
-                yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(sizes, pa.int64()), pa.array(sig[:, 0].view(np.int64) if len(sig) else [], pa.int64()), pa.array(sig[:, 1].copy().view(np.int64) if len(sig) else [], pa.int64()), lists], ["id", "n_words", "sig1", "sig2", "sketches"])
+                words, first = hashed_words(batch.column("text"))
+                short = [short_keys(words[a:b]) if b - a <= SHORT else [] for a, b in zip(first[:-1].tolist(), first[1:].tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(sizes, pa.int64()), pa.array(sig[:, 0].copy().view(np.int64) if len(sig) else [], pa.int64()), pa.array(sig[:, 1].copy().view(np.int64) if len(sig) else [], pa.int64()), lists, pa.array(short, pa.list_(pa.int64()))], ["id", "n_words", "sig1", "sig2", "sketches", "short"])
 
-    sketched = store(rows.mapInArrow(run, "id bigint, n_words bigint, sig1 bigint, sig2 bigint, sketches array<bigint>"), "near-sketches")
-    same = sketched.groupBy("sig1", "sig2").agg(F.max("id").alias("rep"), F.first("sketches").alias("sketches"), F.first("n_words").alias("n"))
+    sketched = store(rows.mapInArrow(run, "id bigint, n_words bigint, sig1 bigint, sig2 bigint, sketches array<bigint>, short array<bigint>"), "near-sketches")
+    same = sketched.groupBy("sig1", "sig2").agg(F.max("id").alias("rep"), F.first("sketches").alias("sketches"), F.first("short").alias("short"), F.first("n_words").alias("n"))
     same = store(same, "near-classes")
     single = F.expr("transform(sketches, (x, i) -> xxhash64(x, i))")
-    double = F.expr(f"transform(sketches, (x, i) -> xxhash64(x, sketches[(i + 1) % {SKETCHES}], i, 'two'))")
-    keys = same.filter("n > 0 and rep is not null").select("rep", "n", F.explode(F.concat(single, double)).alias("key"))
+    keys = same.filter("n > 0 and rep is not null").select("rep", "n", F.explode(F.concat(single, F.coalesce("short", F.array().cast("array<bigint>")))).alias("key"))
     leaders = keys.groupBy("key").agg(F.max("rep").alias("leader"), F.count(F.lit(1)).alias("c")).filter("c > 1")
     of = linked(rows, store(keys.join(leaders, "key"), "near-keys"), least)
     joined = sketched.join(same.select("sig1", "sig2", "rep"), ["sig1", "sig2"]).join(of, F.col("rep") == F.col("node"), "left")
