@@ -103,3 +103,18 @@ def test_slow_log_and_shares(spark):
     rows = slow_log(g, [parse_pattern("x(y)").pattern, parse_pattern("x(#a)").pattern]).collect()
     assert {(r.pattern_key, r.n_rows, r.total) for r in rows} == {("0d1d", 1, 3), ("0d1p", 2, 3)}
     assert shares(mine(g, 3, 1).tables, g).first().share == 1.0
+
+
+def test_queries_on_parts_have_one_on_the_whole(spark, sf):
+    import duckdb
+
+    from twigmine.queries import ORACLES, QUERIES
+
+    for name, sql in ORACLES.items():
+        cut = "INTERVAL 3 DAY" in sql
+        whole = name.startswith(("g_", "stats_", "freq_level", "rule_sparsity", "rule_edge_share", "sup_")) or f"{name}_whole" in QUERIES
+        assert not cut or whole, name
+    db = duckdb.connect()
+    db.execute(f"CREATE VIEW events AS SELECT * FROM '{sf}/events.parquet'")
+    for name in ("rel_self_join_whole", "match_hub_whole", "rel_top_k_whole"):
+        assert sorted(map(tuple, QUERIES[name](spark, sf).collect())) == sorted(db.execute(ORACLES[name]).fetchall())

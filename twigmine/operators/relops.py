@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from functools import partial
+from inspect import signature
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -12,11 +15,11 @@ from ..oracles import edge_sql, with_edges
 from ..sources.datagraphs import GRAPHS, keyed_events, table
 from ..sources.edges import close_pairs, last_before
 
-STEP = "key_step_3d"
+STEP, WHOLE_STEP = "key_step_3d", "key_step_30d"
 
 
-def step(spark, sf_dir) -> DataFrame:
-    return GRAPHS[STEP](spark, sf_dir).edges
+def step(spark, sf_dir, g: str = STEP) -> DataFrame:
+    return GRAPHS[g](spark, sf_dir).edges
 
 
 def degrees(edges: DataFrame) -> DataFrame:
@@ -26,17 +29,17 @@ def degrees(edges: DataFrame) -> DataFrame:
 _DEG = "deg AS (SELECT src, count(*) AS deg FROM edge GROUP BY src)"
 
 
-def rel_projection(s, d):
-    e = step(s, d)
+def rel_projection(s, d, g=STEP):
+    e = step(s, d, g)
     return e.select(F.col("dst").alias("parent"), F.col("src").alias("child"), (F.length("src") / F.length("dst")).alias("ratio"))
 
 
-def rel_filter(s, d):
-    return step(s, d).filter((F.col("src") == "7") | (F.col("src") == F.col("dst")))
+def rel_filter(s, d, g=STEP):
+    return step(s, d, g).filter((F.col("src") == "7") | (F.col("src") == F.col("dst")))
 
 
-def rel_inner_join(s, d):
-    e = step(s, d)
+def rel_inner_join(s, d, g=STEP):
+    e = step(s, d, g)
     return e.alias("a").join(e.alias("b"), F.col("a.dst") == F.col("b.src")).groupBy(F.col("a.src").alias("src")).agg(F.count(F.lit(1)).alias("paths"))
 
 
@@ -72,14 +75,14 @@ def rel_asof_join(s, d):
     return last_before(buys, clicks, "user_id", "ts", "value").select("event_id", F.round("last_value", 6).alias("last_value"))
 
 
-def rel_self_join(s, d):
-    e = GRAPHS["key_step_3d_22"](s, d).edges
+def rel_self_join(s, d, g="key_step_3d_22"):
+    e = step(s, d, g)
     a, b, c = (e.toDF(f"s{k}", f"d{k}") for k in range(3))
     return a.join(b, F.col("d0") == F.col("s1")).join(c, F.col("d1") == F.col("s2")).filter("d2 = s0").select(F.col("s0").alias("x"), F.col("s1").alias("y"), F.col("s2").alias("z"))
 
 
-def rel_aggregate(s, d):
-    return step(s, d).groupBy("src").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("dst").alias("different"), F.sum(F.col("dst").cast("bigint")).alias("total"), F.min("dst").alias("least"), F.max("dst").alias("most"))
+def rel_aggregate(s, d, g=STEP):
+    return step(s, d, g).groupBy("src").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("dst").alias("different"), F.sum(F.col("dst").cast("bigint")).alias("total"), F.min("dst").alias("least"), F.max("dst").alias("most"))
 
 
 def rel_grouping_sets(s, d):
@@ -97,10 +100,10 @@ def rel_approximate(s, d):
     return e.agg(F.approx_count_distinct("src", 0.02).alias("a"), F.count_distinct("src").alias("exact")).select("exact", (F.abs(F.col("a") - F.col("exact")) < F.col("exact") * 0.1).alias("near"))
 
 
-def rel_window(s, d):
+def rel_window(s, d, g=STEP):
     w = Window.orderBy(F.desc("deg"), "src")
     # Spark needs one task to number the whole table: degrees are first cut to the largest 500.
-    top = degrees(step(s, d)).orderBy(F.desc("deg"), "src").limit(500)
+    top = degrees(step(s, d, g)).orderBy(F.desc("deg"), "src").limit(500)
     return top.select("src", "deg", F.row_number().over(w).alias("place"), F.rank().over(Window.orderBy(F.desc("deg"))).alias("rank"), F.dense_rank().over(Window.orderBy(F.desc("deg"))).alias("dense"), F.ntile(4).over(w).alias("quarter"), F.lag("src").over(w).alias("above"), F.sum("deg").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("running"))
 
 
@@ -114,8 +117,8 @@ def rel_window_range(s, d):
     return keyed_events(s, d).select("event_id", F.count(F.lit(1)).over(w).alias("day_events"))
 
 
-def rel_top_k(s, d):
-    return degrees(step(s, d)).orderBy(F.desc("deg"), "src").limit(10)
+def rel_top_k(s, d, g=STEP):
+    return degrees(step(s, d, g)).orderBy(F.desc("deg"), "src").limit(10)
 
 
 def rel_set_ops(s, d):
@@ -128,13 +131,13 @@ def rel_set_ops(s, d):
     return out
 
 
-def rel_exists(s, d):
-    GRAPHS[STEP](s, d).edges.createOrReplaceTempView("rel_edge")
+def rel_exists(s, d, g=STEP):
+    step(s, d, g).createOrReplaceTempView("rel_edge")
     return s.sql("SELECT DISTINCT e.src FROM rel_edge e WHERE EXISTS (SELECT 1 FROM rel_edge f WHERE f.src = e.dst AND f.dst = '7') AND e.src IN (SELECT dst FROM rel_edge)")
 
 
-def rel_scalar_subquery(s, d):
-    GRAPHS[STEP](s, d).edges.createOrReplaceTempView("rel_edge2")
+def rel_scalar_subquery(s, d, g=STEP):
+    step(s, d, g).createOrReplaceTempView("rel_edge2")
     return s.sql("SELECT dst, count(*) AS freq, round(count(*) / CAST((SELECT count(*) FROM rel_edge2) AS DOUBLE), 6) AS conf FROM rel_edge2 GROUP BY dst")
 
 
@@ -148,9 +151,9 @@ def rel_recursion(s, d):
     return s.sql("WITH RECURSIVE walk(id, depth) AS (SELECT 'root', 0 UNION ALL SELECT DISTINCT e.dst, w.depth + 1 FROM (SELECT DISTINCT id, depth FROM walk) w JOIN rel_chain e ON e.src = w.id WHERE w.depth < 3) SELECT id, min(depth) AS depth FROM walk GROUP BY id")
 
 
-def rel_sample(s, d):
+def rel_sample(s, d, g=STEP):
     """A preview of a tenth of the edges, by a hash of the row, so it is the same on any partitioning."""
-    return step(s, d).filter(F.conv(F.substring(F.md5(F.concat("src", F.lit("-"), "dst")), 1, 4), 16, 10).cast("int") < 6554)
+    return step(s, d, g).filter(F.conv(F.substring(F.md5(F.concat("src", F.lit("-"), "dst")), 1, 4), 16, 10).cast("int") < 6554)
 
 
 def rel_node_labels(s, d):
@@ -174,17 +177,17 @@ def fn_math(s, d):
     return t.select("l_orderkey", "l_linenumber", F.round(F.sqrt("l_quantity"), 6).alias("root"), F.floor(F.col("l_quantity") / 7).cast("bigint").alias("f"), F.greatest("l_partkey", "l_orderkey").alias("g"), F.pmod(F.col("l_partkey") - 1000, F.lit(7)).cast("bigint").alias("m"))
 
 
-def fn_array(s, d):
+def fn_array(s, d, g=STEP):
     """Head images: pins taken by a correspondence, and array functions on them."""
-    rows = step(s, d).select(F.array("src", "dst").alias("pins"), F.array(F.lit(1), F.lit(0), F.lit(1)).alias("rho"))
+    rows = step(s, d, g).select(F.array("src", "dst").alias("pins"), F.array(F.lit(1), F.lit(0), F.lit(1)).alias("rho"))
     rows = rows.select("pins", bind_pins().alias("h"))
     return rows.select(F.concat_ws(",", "pins").alias("pins"), F.concat_ws(",", "h").alias("h"), F.concat_ws(",", F.array_sort(F.array_distinct("h"))).alias("different"), F.exists("pins", lambda x: x == "7").alias("has7"), F.forall("pins", lambda x: F.length(x) == 2).alias("two"), F.aggregate("pins", F.lit(0).cast("bigint"), lambda a, x: a + x.cast("bigint")).alias("total"), F.element_at("h", 3).alias("third"), F.concat_ws(",", F.slice("h", 2, 2)).alias("tail"), F.size(F.flatten(F.array("pins", "h"))).alias("n"))
 
 
-def fn_map(s, d):
+def fn_map(s, d, g=STEP):
     """Constants by pin name, as a map."""
     m = F.map_from_arrays(F.array(F.lit("a"), F.lit("b")), F.array("src", "dst"))
-    rows = step(s, d).select("src", "dst", m.alias("m"))
+    rows = step(s, d, g).select("src", "dst", m.alias("m"))
     return rows.select("src", "dst", F.concat_ws(",", F.array_sort(F.map_keys("m"))).alias("keys"), F.transform_values("m", lambda k, v: F.concat(k, v))["b"].alias("named"), F.size(F.map_entries("m")).alias("n"))
 
 
@@ -193,8 +196,8 @@ def fn_json(s, d):
     return t.select("event_id", F.get_json_object("props", "$.k").alias("a"), F.from_json("props", "k bigint")["k"].alias("b"), F.expr("variant_get(parse_json(props), '$.k', 'bigint')").alias("c"), F.to_json(F.struct(F.col("event_id").alias("id"))).alias("j"))
 
 
-def fn_ratio(s, d):
-    d1 = degrees(step(s, d))
+def fn_ratio(s, d, g=STEP):
+    d1 = degrees(step(s, d, g))
     return d1.crossJoin(F.broadcast(d1.agg(F.sum("deg").alias("lhs_freq")))).select("src", F.round(exact_ratio("deg", "lhs_freq"), 9).cast("double").alias("ratio"))  # one row
 
 
@@ -210,8 +213,8 @@ def udf_pattern_key(s, d):
     return rows.select("id", pattern_key_udf("levels", "marks").alias("pattern_key"), redundant_udf("levels", "marks").alias("redundant"))
 
 
-def udf_distinct_at_least(s, d):
-    return step(s, d).groupBy("src").agg(distinct_at_least(10)("dst").alias("frequent"))
+def udf_distinct_at_least(s, d, g=STEP):
+    return step(s, d, g).groupBy("src").agg(distinct_at_least(10)("dst").alias("frequent"))
 
 
 _QUERIES = {
@@ -254,3 +257,9 @@ _QUERIES = {
 
 QUERIES = {k: q for k, (q, _) in _QUERIES.items()}
 ORACLES = {k: sql for k, (_, sql) in _QUERIES.items() if sql}
+
+#: The queries on parts of the step graph, on the whole of it.
+for _name, (_f, _sql) in _QUERIES.items():
+    if "g" in signature(_f).parameters:
+        QUERIES[f"{_name}_whole"] = partial(_f, g=WHOLE_STEP)
+        ORACLES[f"{_name}_whole"] = _sql.replace(edge_sql(signature(_f).parameters["g"].default), edge_sql(WHOLE_STEP))

@@ -120,13 +120,13 @@ add(
 SHAPES3 = [t for t in shapes(3) if len(t) == 3]
 
 
-def _candidates(text: str, minsup: int) -> tuple[Query, str]:
+def _candidates(text: str, minsup: int, graph_name: str = "key_step_3d_22") -> tuple[Query, str]:
     """Candidate assignments of a pattern against the SQL join of its parents' full support tables."""
     p = parse_pattern(text).pattern
     assert p.is_canonical()
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        g = kept("key_step_3d_22", spark, sf_dir)
+        g = kept(graph_name, spark, sf_dir)
         found = mine_tree(g, p.levels, minsup)
         out = candidates(p, Tables(found), g)
         return out.select(*[F.col(n(i)).alias(f"pin{k}") for k, i in enumerate(p.pins, 1)])
@@ -138,7 +138,7 @@ def _candidates(text: str, minsup: int) -> tuple[Query, str]:
     nodes = "(SELECT src AS id FROM edge UNION SELECT dst FROM edge)"
     source = ", ".join(f"{nodes} c{k}" for k in range(1, len(p.pins) + 1))
     columns = ", ".join(f"c{k}.id AS pin{k}" for k in range(1, len(p.pins) + 1))
-    return run, with_edges("key_step_3d_22", f"SELECT DISTINCT {columns} FROM {source} WHERE {' AND '.join(conditions)}")
+    return run, with_edges(graph_name, f"SELECT DISTINCT {columns} FROM {source} WHERE {' AND '.join(conditions)}")
 
 
 add("cand_join_level1", *_candidates("x(y, z)".replace("y", "#a"), 10))
@@ -265,9 +265,9 @@ RULE_LHS = TreeQuery((0, 2), parse_pattern("x(#a, z)").pattern)
 RULE_FOLDS = rules.folds_into(RULE_LHS, [p for t in shapes(3) for p in all_marks(t, "full")])
 
 
-def rules_all_fork(spark: SparkSession, sf_dir: str) -> DataFrame:
-    g = kept("key_step_3d_22", spark, sf_dir)
-    found = rules.mine_rules(mine(g, 10, 3).tables, RULE_LHS, "0.3", g)
+def rules_all_fork(spark: SparkSession, sf_dir: str, graph_name: str = "key_step_3d_22", minsup: int = 10) -> DataFrame:
+    g = kept(graph_name, spark, sf_dir)
+    found = rules.mine_rules(mine(g, minsup, 3).tables, RULE_LHS, "0.3", g)
     fold = F.concat_ws(",", F.col("fold").cast("array<string>"))
     return conf(found.select(F.col("rhs_key"), fold.alias("fold"), F.col("lhs_pins")[0].alias("lhs_pin1"), *[F.get("rhs_pins", F.lit(k)).alias(f"pin{k + 1}") for k in range(3)], "freq", "lhs_freq"))
 
@@ -275,8 +275,8 @@ def rules_all_fork(spark: SparkSession, sf_dir: str) -> DataFrame:
 add("rules_all_fork", rules_all_fork, with_edges("key_step_3d_22", rules_sql(RULE_LHS, RULE_FOLDS, 10, 3, 10, 3)))
 
 
-def _store(spark: SparkSession, sf_dir: str) -> Tables:
-    return mine(kept("key_step_3d_22", spark, sf_dir), 10, 3, strategy="cube").tables
+def _store(spark: SparkSession, sf_dir: str, graph_name: str = "key_step_3d_22", minsup: int = 10) -> Tables:
+    return mine(kept(graph_name, spark, sf_dir), minsup, 3, strategy="cube").tables
 
 
 _ALL3 = tall_sql([p for t in shapes(3) for p in all_marks(t, "full")], 10, 3)
@@ -295,16 +295,43 @@ add("browse_suggest", lambda s, d: browse.suggest(_store(s, d), 5), _tall("SELEC
 add("browse_hot_constants", lambda s, d: browse.hot_constants(_store(s, d), 10), _tall("SELECT constant, count(DISTINCT pattern_key) AS patterns, count(*) AS instances FROM (SELECT pattern_key, pin1 AS constant FROM tall UNION ALL SELECT pattern_key, pin2 FROM tall UNION ALL SELECT pattern_key, pin3 FROM tall) q WHERE constant IS NOT NULL GROUP BY constant ORDER BY patterns DESC, instances DESC, constant LIMIT 10"))
 
 
-def db_diff(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """What a support threshold of 25 leaves out of a database at 10."""
-    a = _store(spark, sf_dir).support
-    b = mine(kept("key_step_3d_22", spark, sf_dir), 25, 3, strategy="cube").tables.support
+def db_diff(spark: SparkSession, sf_dir: str, graph_name: str = "key_step_3d_22", minsup: int = 10, higher: int = 25) -> DataFrame:
+    """What a higher support threshold leaves out of a database at a lower one."""
+    a = _store(spark, sf_dir, graph_name, minsup).support
+    b = mine(kept(graph_name, spark, sf_dir), higher, 3, strategy="cube").tables.support
     return diff(a, b).select("pattern_key", F.concat_ws(",", "pins").alias("pins"), "freq_a", "freq_b")
 
 
 add("db_diff", db_diff, _tall("SELECT pattern_key, pins, freq AS freq_a, CAST(NULL AS BIGINT) AS freq_b FROM tall WHERE freq < 25"))
 
 
+# The searches above that run on a part of the step graph, on whole graphs.  SQL only where it is no brute force over all marks of a shape.
+WHOLE, WHOLE_MINSUP = "page_links", 25
+for _name, _size, _how in (
+    ("mine_v1_size3", 3, {"dedup": "none", "order": "double"}), ("mine_v2_size4", 4, {"min_height": 2}), ("mine_cube_size4", 4, {"strategy": "cube"}),
+    ("mine_no_copies_size3", 3, {"dedup": "canonical"}), ("mine_no_redundancy_size3", 3, {"dedup": "redundancy"}), ("mine_expand_size3", 3, {"strategy": "expand"}),
+):
+    # Page links alone have no paths of two edges.
+    add(f"{_name}_whole", _mined("site_graph" if "min_height" in _how else WHOLE, WHOLE_MINSUP, _size, **_how)[0])
+for _k, _text in enumerate(("x(#a, z)", "#r(#a, z)", "?(#a, #b)"), 1):
+    add(f"cand_join_level{_k}_whole", _candidates(_text, WHOLE_MINSUP, WHOLE)[0])
+add("rules_all_fork_whole", lambda s, d: rules_all_fork(s, d, WHOLE, WHOLE_MINSUP))
+add(
+    "browse_instances_whole", lambda s, d: browse.instances(_store(s, d, WHOLE, WHOLE_MINSUP), "x(#a, z)").select(F.col("a").alias("pin1"), "freq"),
+    with_edges(WHOLE, to_sql(parse_pattern("x(#a, z)").pattern, minsup=WHOLE_MINSUP)),
+)
+add("browse_suggest_whole", lambda s, d: browse.suggest(_store(s, d, WHOLE, WHOLE_MINSUP), 5))
+add("browse_hot_constants_whole", lambda s, d: browse.hot_constants(_store(s, d, WHOLE, WHOLE_MINSUP), 10))
+add("db_diff_whole", lambda s, d: db_diff(s, d, WHOLE, WHOLE_MINSUP, 2 * WHOLE_MINSUP))
+add("match_fork_whole", *_matchings("key_step_30d", "x(y, z)"))
+add("match_path_whole", *_matchings("key_step_30d", "x(y(z))"))
+add(
+    "match_hub_whole", lambda s, d: answer_set(graph("key_step_30d", s, d), (0, 2, 0), parse_pattern("#a(?(x))").pattern),
+    with_edges("key_step_30d", "SELECT DISTINCT e1.src AS h1, e2.dst AS h2, e1.src AS h3 FROM edge e1 JOIN edge e2 ON e2.src = e1.dst"),
+)
+add("rule_folded_whole", lambda s, d: conf(rules.ratio(graph("key_step_30d", s, d), parse_pattern("x1(x2(x3), x4(x5))").pattern, parse_pattern("x1(x2(#c, x4, x5))").pattern, {})))
+
+
 def labels_as_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .graph import with_node_labels
     from .sources.datagraphs import named, table
