@@ -118,3 +118,15 @@ def test_queries_on_parts_have_one_on_the_whole(spark, sf):
     db.execute(f"CREATE VIEW events AS SELECT * FROM '{sf}/events.parquet'")
     for name in ("rel_self_join_whole", "match_hub_whole", "rel_top_k_whole"):
         assert sorted(map(tuple, QUERIES[name](spark, sf).collect())) == sorted(db.execute(ORACLES[name]).fetchall())
+
+
+def test_recursion_reaches_the_brands(spark, sf):
+    import duckdb
+
+    from twigmine.queries import ORACLES, QUERIES
+
+    db = duckdb.connect()
+    for t in ("region", "nation", "supplier", "lineitem", "part"):
+        db.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    got = sorted(map(tuple, QUERIES["rel_recursion_whole"](spark, sf).collect()))
+    assert got == sorted(db.execute(ORACLES["rel_recursion_whole"]).fetchall()) and max(d for _, d in got) == 5

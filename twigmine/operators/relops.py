@@ -14,6 +14,7 @@ from ..graph import with_node_labels
 from ..oracles import edge_sql, with_edges
 from ..sources.datagraphs import GRAPHS, keyed_events, table
 from ..sources.edges import close_pairs, last_before
+from ..storage import cut
 
 STEP, WHOLE_STEP = "key_step_3d", "key_step_30d"
 
@@ -151,6 +152,20 @@ def rel_recursion(s, d):
     return s.sql("WITH RECURSIVE walk(id, depth) AS (SELECT 'root', 0 UNION ALL SELECT DISTINCT e.dst, w.depth + 1 FROM (SELECT DISTINCT id, depth FROM walk) w JOIN rel_chain e ON e.src = w.id WHERE w.depth < 3) SELECT id, min(depth) AS depth FROM walk GROUP BY id")
 
 
+def rel_recursion_whole(s, d):
+    """Depths below the root of the whole supply chain, down to the brands: a round per depth, until no new node appears."""
+    e = GRAPHS["supply_chain"](s, d).edges
+    seen = reached = cut(s.createDataFrame([("root", 0)], "id string, depth int"), "walk")
+    depth = 0
+    while True:
+        depth += 1
+        new = e.join(reached, e.src == reached.id, "left_semi").select(F.col("dst").alias("id")).distinct()
+        reached = cut(new.join(seen, "id", "left_anti").select("id", F.lit(depth).alias("depth")), "walk")
+        if reached.isEmpty():
+            return seen
+        seen = seen.union(reached)
+
+
 def rel_sample(s, d, g=STEP):
     """A preview of a tenth of the edges, by a hash of the row, so it is the same on any partitioning."""
     return step(s, d, g).filter(F.conv(F.substring(F.md5(F.concat("src", F.lit("-"), "dst")), 1, 4), 16, 10).cast("int") < 6554)
@@ -258,6 +273,9 @@ _QUERIES = {
 QUERIES = {k: q for k, (q, _) in _QUERIES.items()}
 ORACLES = {k: sql for k, (_, sql) in _QUERIES.items() if sql}
 
+QUERIES["rel_recursion_whole"] = rel_recursion_whole
+ORACLES["rel_recursion_whole"] = _QUERIES["rel_recursion"][1] + " UNION ALL SELECT DISTINCT 'p:' || l_partkey, 4 FROM lineitem UNION ALL SELECT DISTINCT 'b:' || p_brand, 5 FROM part WHERE p_partkey IN (SELECT l_partkey FROM lineitem)"
+
 #: The queries on parts of the step graph, on the whole of it.
 for _name, (_f, _sql) in _QUERIES.items():
     if "g" in signature(_f).parameters:
