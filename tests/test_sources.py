@@ -130,3 +130,14 @@ def test_recursion_reaches_the_brands(spark, sf):
         db.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
     got = sorted(map(tuple, QUERIES["rel_recursion_whole"](spark, sf).collect()))
     assert got == sorted(db.execute(ORACLES["rel_recursion_whole"]).fetchall()) and max(d for _, d in got) == 5
+
+
+def test_streams_of_unordered_files_give_the_batch(spark, tmp_path):
+    day = [(1, 1, "10:00:00", 1), (2, 1, "10:05:00", 2), (3, 1, "10:08:00", 3), (4, 2, "09:00:00", 1), (5, 2, "09:09:00", 1), (6, 1, "01:00:00", 3), (7, 3, "01:04:00", 3), (8, 1, "01:09:00", 4)]
+    rows = spark.createDataFrame([(i, u, f"2024-01-02 {t}", "click", f'{{"k": {k}}}') for i, u, t, k in day], "event_id bigint, user_id bigint, t string, event_type string, props string").withColumn("ts", F.to_timestamp("t").cast("timestamp_ntz")).drop("t")
+    for ids in ((1, 2, 3), (4, 5), (6, 7, 8)):
+        rows.filter(F.col("event_id").isin(*ids)).coalesce(1).write.mode("append").parquet(str(tmp_path / "events.parquet"))
+    got = [(r.user_id, r.src, r.dst) for r in streams.stream_sessions(spark, str(tmp_path)).collect()]
+    assert sorted(got) == [(1, "1", "2"), (1, "2", "3"), (1, "3", "4"), (2, "1", "1")]
+    steps = sorted((r.u, r.v, r.w) for r in streams.stream_two_steps(spark, str(tmp_path)).collect())
+    assert steps == [("u:1", "k:3", "u:3")]

@@ -12,6 +12,10 @@ from ..storage import shared_folder
 from . import stream
 
 
+#: A delay longer than any input: no row comes late, whatever the order of files.
+COVERS = "3650 days"
+
+
 def _place(spark: SparkSession, name: str) -> tuple[str, str]:
     root = f"{shared_folder(spark)}/{name}-{uuid4().hex}"
     return f"{root}/out", f"{root}/checkpoint"
@@ -51,14 +55,15 @@ def stream_degrees(spark, sf_dir) -> DataFrame:
 
 
 def stream_sessions(spark, sf_dir) -> DataFrame:
-    return stream.run_to_memory(stream.session_edges(stream.event_stream(spark, f"{sf_dir}/events.parquet")), f"s_{uuid4().hex}", "append")
+    """Complete mode gives the sessions that are open at the end as well."""
+    return stream.run_to_memory(stream.session_edges(stream.event_stream(spark, f"{sf_dir}/events.parquet"), delay=COVERS), f"s_{uuid4().hex}", "complete")
 
 
 def stream_two_steps(spark, sf_dir) -> DataFrame:
     e = _edges(spark, sf_dir)
     turned = e.select("ts", F.col("dst").alias("src"), F.col("src").alias("dst"))
-    a = e.select(F.col("ts").alias("t1"), F.col("src").alias("u"), F.col("dst").alias("v")).withWatermark("t1", "1 hour")
-    b = turned.select(F.col("ts").alias("t2"), F.col("src").alias("v2"), F.col("dst").alias("w")).withWatermark("t2", "1 hour")
+    a = e.select(F.col("ts").alias("t1"), F.col("src").alias("u"), F.col("dst").alias("v")).withWatermark("t1", COVERS)
+    b = turned.select(F.col("ts").alias("t2"), F.col("src").alias("v2"), F.col("dst").alias("w")).withWatermark("t2", COVERS)
     return stream.run_to(a.join(b, F.expr("v = v2 and t2 >= t1 and t2 <= t1 + interval 10 minutes and u <> w")).select("t1", "t2", "u", "v", "w"), *_place(spark, "two"))
 
 
