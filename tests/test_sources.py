@@ -141,3 +141,11 @@ def test_streams_of_unordered_files_give_the_batch(spark, tmp_path):
     assert sorted(got) == [(1, "1", "2"), (1, "2", "3"), (1, "3", "4"), (2, "1", "1")]
     steps = sorted((r.u, r.v, r.w) for r in streams.stream_two_steps(spark, str(tmp_path)).collect())
     assert steps == [("u:1", "k:3", "u:3")]
+
+
+def test_cosine_reads_every_vector(spark, sf):
+    from twigmine.queries import QUERIES
+
+    ids = {r.vec_id for r in spark.read.parquet(f"{sf}/embeddings.parquet").select("vec_id").collect()}
+    got = QUERIES["fn_cosine_whole"](spark, sf).collect()
+    assert {r.b for r in got} == ids and len(got) == sum(i % 50 == 0 for i in ids) * (len(ids) - 1)

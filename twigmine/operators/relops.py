@@ -222,6 +222,13 @@ def fn_cosine(s, d):
     return a.join(b, F.col("a") < F.col("b")).select("a", "b", F.round(cosine("x", "y"), 5).alias("cos"))
 
 
+def fn_cosine_whole(s, d):
+    """Every vector with each of the query set (ids divisible by 50)."""
+    t = table(s, d, "embeddings").select("vec_id", "embedding")
+    a, b = t.filter("vec_id % 50 = 0").toDF("a", "x"), t.toDF("b", "y")
+    return b.join(a, F.col("a") != F.col("b")).select("a", "b", F.round(cosine("x", "y"), 5).alias("cos"))
+
+
 def udf_pattern_key(s, d):
     """Keys of two writings of one pattern beside the events' types, from an Arrow function."""
     rows = s.createDataFrame([(1, [0, 1, 2, 2, 1, 2, 2], "pdddepd"), (2, [0, 1, 2, 2, 1, 2, 2], "pepddpd"), (3, [0, 1, 1], "dee")], "id int, levels array<int>, marks string")
@@ -273,6 +280,8 @@ _QUERIES = {
 QUERIES = {k: q for k, (q, _) in _QUERIES.items()}
 ORACLES = {k: sql for k, (_, sql) in _QUERIES.items() if sql}
 
+QUERIES["fn_cosine_whole"] = fn_cosine_whole
+ORACLES["fn_cosine_whole"] = "SELECT a.vec_id AS a, b.vec_id AS b, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 5) AS cos FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE a.vec_id % 50 = 0"
 QUERIES["rel_recursion_whole"] = rel_recursion_whole
 ORACLES["rel_recursion_whole"] = _QUERIES["rel_recursion"][1] + " UNION ALL SELECT DISTINCT 'p:' || l_partkey, 4 FROM lineitem UNION ALL SELECT DISTINCT 'b:' || p_brand, 5 FROM part WHERE p_partkey IN (SELECT l_partkey FROM lineitem)"
 
