@@ -3,6 +3,7 @@
 import hashlib
 import math
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -503,6 +504,80 @@ def test_articles_of_the_pages(spark, sf):
         assert html.main_text(r.html) == "\n".join(b for b in want if b)
 
 
+def brute_text(page):
+    """Both passes over the blocks, each neighbour looked for anew."""
+    blocks = html.blocks_of(page)
+    has = any(b.story and not b.away for b in blocks)
+    labels = []
+    for b in blocks:
+        toks = re.findall(r"\w+", b.text.lower())
+        stops = sum(t in html.STOP_WORDS for t in toks) / max(len(toks), 1)
+        links = min(1, b.linked / len(b.text))
+        if b.away or has and not b.story:
+            step = (1 if b.story else -1 if has else 0) - (3 if b.away else 0)
+            rich = links <= 0.2 and len(b.text) >= 70 and stops >= html.MANY_STOPS and len(b.text) > 200
+            labels.append("good" if rich and step >= 0 else "near" if rich and step == -1 else "bad")
+        elif b.story:
+            if links > 0.5 and stops < html.FEW_STOPS:
+                labels.append("brief" if len(toks) <= 3 else "bad")
+            elif len(b.text) < 70 and stops < html.FEW_STOPS:
+                labels.append("brief")
+            else:
+                labels.append("good" if stops >= html.FEW_STOPS else "near")
+        elif links > 0.2 or len(b.text) < 70 and b.linked:
+            labels.append("bad")
+        elif len(b.text) < 70:
+            labels.append("brief")
+        else:
+            labels.append("bad" if stops < html.FEW_STOPS else "good" if stops >= html.MANY_STOPS and len(b.text) > 200 else "near")
+    out = []
+    for i, b in enumerate(blocks):
+        sides = []
+        for order in (range(i - 1, -1, -1), range(i + 1, len(blocks))):
+            decided = [blocks[j] for j in order if labels[j] in ("good", "bad") and not (blocks[j].story and blocks[j].away)]
+            own = [x for x in decided if b.story and x.story == b.story] or [x for x in decided if not b.story and x.holder == b.holder]
+            pick = own[0] if own else decided[0] if decided and not b.story and not has else None
+            sides.append((labels[blocks.index(pick)] == "good", pick.holder == b.holder) if pick else (bool(b.story), bool(b.story)))
+        good = [x for x in sides if x[0]]
+        if labels[i] == "good" or labels[i] == "near" and good or labels[i] == "brief" and (len(good) == 2 or len(good) == 1 and (b.story or good[0][1])):
+            out.append(b.text)
+    return "\n".join(out)
+
+
+def test_two_passes(sf):
+    """Against a plain version on random pages, whose blocks are all different."""
+    rng = np.random.default_rng(11)
+    stops = sorted(html.STOP_WORDS)
+    for _ in range(400):
+        parts = []
+        for k in range(int(rng.integers(1, 14))):
+            toks = [stops[int(rng.integers(len(stops)))] if rng.random() < 0.2 else f"word{k}" for _ in range(int(rng.choice([1, 3, 12, 60])))] + [f"end{k}"]
+            text = " ".join(toks)
+            text = f"<a href=x>{text}</a>" if rng.random() < 0.2 else text
+            parts.append(str(rng.choice(["<p>{}</p>", "<div>{}</div>", "<nav>{}</nav>", "<article>{}", "</article>{}", "<div class=ad>{}</div>", "<h2>{}</h2>", "<section><p>{}</p></section>", "<p class=comment>{}</p>"])).format(text))
+        page = "".join(parts)
+        assert html.main_text(page) == brute_text(page), page
+
+
+def test_pages_without_article_tags(spark):
+    """The text rules alone: most of an article is found when nothing says where it is."""
+    found = wanted = kept = 0
+    for r in spark.read.parquet("/root/testdata/sf0.01/pages.parquet").collect():
+        want = Counter(html.main_text(r.html).split("\n"))
+        got = Counter(html.main_text(re.sub(r"</?article[^>]*>", "", r.html or "")).split("\n"))
+        size = lambda c: sum(len(k) * v for k, v in c.items())
+        found, wanted, kept = found + size(want & got), wanted + size(want), kept + size(got)
+    assert found >= 0.85 * wanted and found >= 0.98 * kept
+
+
+def test_broken_pages_take_linear_time():
+    for page in ("<a" * 10**6, "<div>" * 10**5, '<a ">" ' * 10**5, '<a =">" ' * 10**5, '<a x="' * 10**5, "<a " + "b " * 10**5, "<" * 10**5, "<!-" * 10**5, "<script>" * 10**5, "<p hidden" + " " * 10**5 + ">", "<p a=" + " " * 10**5 + ">"):
+        began = time.monotonic()
+        html.main_text(page)
+        assert time.monotonic() - began < 3, page[:20]
+    assert html.main_text('<p a="x>the first of them</p><p>the one that is after it and to the end of it</p>' * 3) != ""
+
+
 # 10
 
 
