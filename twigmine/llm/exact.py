@@ -9,9 +9,9 @@ from pyspark.sql import functions as F
 
 from .common import store
 
-#: Suspect (length, prefix) keys that are broadcast: 24 bytes each, so 48 MB at most.
-MOST_BROADCAST = 2_000_000
 PREFIX = 64
+#: What is broadcast of shared keys: the different values of a hash with so many values, 8 bytes each, so 8 MB at any size of the corpus.
+SIEVE = 1 << 20
 
 
 def lowered(text: Column) -> Column:
@@ -22,41 +22,77 @@ def lowered(text: Column) -> Column:
     return F.when(F.octet_length(text) == F.length(text), F.lower(text)).otherwise(F.translate(text, string.ascii_uppercase, string.ascii_lowercase))
 
 
+def refine_keys(text: Column) -> tuple[Column, Column]:
+    """Length and prefix hash of a text: lower-casing keeps the length, and a prefix needs no more than itself lowered."""
+    text = F.coalesce(text.cast("string"), F.lit(""))
+    return F.length(text), F.xxhash64(lowered(F.substring(text, 1, PREFIX)))
+
+
+def sieve_of(text: Column) -> Column:
+    return F.pmod(F.xxhash64(*refine_keys(text)), F.lit(SIEVE))
+
+
+def shared_sieve(docs: DataFrame, text_col: str) -> DataFrame:
+    """sieve: where texts stand that share their length and their prefix with another one; at most SIEVE rows.
+
+    Lengths that one row has end there; then (length, prefix hash) keys that one row has.
+    """
+    n, p = refine_keys(F.col(text_col))
+    keys = store(docs.select(n.alias("n"), p.alias("p")), "exact-keys")
+    # Lengths stand by their remainder: below SIEVE characters each by itself.
+    keys = keys.withColumn("m", F.pmod("n", F.lit(SIEVE)))
+    lengths = store(keys.groupBy("m").count().filter("count > 1").select("m"), "exact-lengths")
+    shared = keys.join(F.broadcast(lengths), "m", "left_semi").groupBy("n", "p").count().filter("count > 1")  # at most SIEVE rows
+    return store(shared.select(F.pmod(F.xxhash64("n", "p"), F.lit(SIEVE)).alias("sieve")).distinct(), "exact-sieve")
+
+
+def hashed_rows(docs: DataFrame, id_col: str, text_col: str, every_digest: bool, sieve: DataFrame) -> DataFrame:
+    """id, shared, digest (binary) of every row: the one full reading."""
+    placed = docs.select(F.col(id_col).alias("id"), sieve_of(F.col(text_col)).alias("sieve"), lowered(F.col(text_col)).alias("t"))
+    marked = placed.join(F.broadcast(sieve.withColumn("shared", F.lit(True))), "sieve", "left")  # at most SIEVE rows
+    wanted = F.lit(True) if every_digest else F.col("shared")
+    return store(marked.select("id", F.coalesce("shared", F.lit(False)).alias("shared"), F.when(wanted, F.unhex(F.sha2("t", 256))).alias("digest")), "exact-hashes")
+
+
+def groups_of(hashed: DataFrame) -> DataFrame:
+    """digest, keep_id, group_size of digests that several rows have."""
+    return store(hashed.filter("shared").groupBy("digest").agg(F.max("id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")).filter("group_size > 1"), "exact-groups")
+
+
 def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", every_digest: bool = False) -> DataFrame:
-    """One row per different (id, text): id, keep_id, group_size, kept, digest.
+    """One row per row of docs: id, keep_id, group_size, kept, digest (hexadecimal SHA-256).
 
     Texts are equal when identical after lower-casing A-Z; null counts as empty.  The row with the
-    largest id stays (null ids are smallest).  Rows repeated with id and text come back once and count in
-    group_size.  An empty table gives an empty result; further columns are not read.
+    largest id stays (null ids are smallest).  Rows repeated with id and text each come back, with one verdict, and each counts in
+    group_size.  An empty table gives an empty result; further columns are not read.  Ids may be of any type that has an order.
+    digest is null for texts that one row has, unless every_digest.
 
-    Lengths that one row has end there, then (length, prefix hash) keys that one row has.  Only rows whose key
-    is shared have their full content hashed; digest is null for the others unless every_digest.
-    Content is never shuffled: while the shared keys fit MOST_BROADCAST the second reading knows them before it
-    hashes; beyond that it hashes all content below the exchange, and the keys meet in a join that AQE can split.
+    A first reading leaves length and prefix hash of each row; what they share becomes a sieve of fixed size, by which the second
+    reading hashes the full content of the rows that may have an equal.  Texts that the sieve lets through in vain
+    cost their hash and nothing else.  Content is never shuffled, and digests are joined to their groups in a join that AQE can split.
     """
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    # Lower-casing keeps the length, and a prefix needs no more than itself lowered: the first reading leaves the rest as it is.
-    keyed = docs.select(F.col(id_col).alias("id"), F.length(text).alias("n"), F.xxhash64(lowered(F.substring(text, 1, PREFIX))).alias("p"), lowered(text).alias("t"))
-    by_key = keyed.groupBy("n", "p").agg(F.count(F.lit(1)).alias("c"))
-    # A length that one row has needs no look at its prefix: such a key is single as well.
-    shared = store(by_key.filter("c > 1").select("n", "p"), "exact-keys")
-    if shared.count() <= MOST_BROADCAST:
-        marked = keyed.join(F.broadcast(shared.withColumn("shared", F.lit(True))), ["n", "p"], "left")
-        wanted = F.lit(True) if every_digest else F.col("shared")
-        hashed = marked.select("id", "n", "p", F.coalesce("shared", F.lit(False)).alias("shared"), F.when(wanted, F.sha2("t", 256)).alias("digest"))
-    else:
-        hashed = keyed.select("id", "n", "p", F.lit(True).alias("shared"), F.sha2("t", 256).alias("digest"))
-    alone = hashed.filter(~F.col("shared")).select("id", F.col("id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "digest")
-    members = hashed.filter("shared").groupBy("digest", "id").agg(F.count(F.lit(1)).alias("c"))
-    groups = hashed.filter("shared").groupBy("digest").agg(F.max("id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
-    together = members.join(groups, "digest").select("id", "keep_id", "group_size", F.col("id").eqNullSafe(F.col("keep_id")).alias("kept"), "digest")
-    return alone.unionByName(together).withColumnRenamed("id", id_col)
+    hashed = hashed_rows(docs, id_col, text_col, every_digest, shared_sieve(docs, text_col))
+    found = hashed.filter("shared").join(groups_of(hashed), "digest", "left").select("id", "digest", "keep_id", "group_size")
+    rows = found.unionByName(hashed.filter("not shared").select("id", "digest"), allowMissingColumns=True)
+    alone = F.col("group_size").isNull()
+    keep = F.when(alone, F.col("id")).otherwise(F.col("keep_id"))
+    digest = F.col("digest") if every_digest else F.when(~alone, F.col("digest"))
+    return rows.select(F.col("id").alias(id_col), keep.alias("keep_id"), F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"), F.col("id").eqNullSafe(keep).alias("kept"), F.lower(F.hex(digest)).alias("digest"))
 
 
 def keep_exact(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs that stay, with all their columns; of rows that agree in id and text one stays."""
-    verdicts = exact_duplicates(docs, id_col, text_col, every_digest=True).filter("kept").select(F.col(id_col).alias("_keep_id"), F.col("digest").alias("_keep_digest"))
-    marked = docs.withColumn("_digest", F.sha2(lowered(F.col(text_col)), 256))
-    match = F.col(id_col).eqNullSafe(F.col("_keep_id")) & (F.col("_digest") == F.col("_keep_digest"))
-    kept = marked.join(verdicts, match, "left_semi")
-    return kept.dropDuplicates([id_col, "_digest"]).drop("_digest")
+    """The rows of docs that stay, with all their columns; of rows that agree in id and text one stays.  Null texts are empty.
+
+    Rows that share neither length nor prefix with another one are passed on where they are read.  The others are moved once, by
+    digest and id, rows that agree in both falling together before; there they meet the verdicts, which are narrow.
+    Any names of columns will do: a row travels as one value.
+    """
+    sieve = shared_sieve(docs, text_col)
+    hashed = hashed_rows(docs, id_col, text_col, False, sieve)
+    id_text = lambda c: F.concat(F.when(c.isNull(), "-").otherwise("+"), F.coalesce(c.cast("string"), F.lit("")))
+    kept = hashed.filter("shared").groupBy("digest").agg(F.max("id").alias("id")).select(F.concat_ws(":", F.hex("digest"), id_text(F.col("id"))).alias("place"))
+    whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    marked = whole.withColumn("sieve", sieve_of(F.col("row")[text_col])).join(F.broadcast(sieve.withColumn("shared", F.lit(True))), "sieve", "left")  # at most SIEVE rows
+    place = F.concat_ws(":", F.upper(F.sha2(lowered(F.col("row")[text_col]), 256)), id_text(F.col("row")[id_col]))
+    once = marked.filter("shared").select(place.alias("place"), "row").groupBy("place").agg(F.first("row").alias("row"))
+    return once.join(kept.hint("merge"), "place", "left_semi").select("row.*").union(marked.filter("shared is null").select("row.*"))
