@@ -102,15 +102,18 @@ def _canonical_sql(text: str) -> str:
     t = f"regexp_replace({t}, '(^|\\n)[^\\p{{L}}\\p{{N}}\\n]*(copyright|©|\\(c\\))[ \\t]*(\\(c\\)|©|[0-9]{{4}}|by )[^\\n]*', '\\1', 'g')"
     t = f"regexp_replace({t}, '(^|\\n)[^\\p{{L}}\\p{{N}}\\n]*all rights reserved[^\\p{{L}}\\p{{N}}\\n]*', '\\1', 'g')"
     t = f"regexp_replace({t}, '[^\\p{{L}}\\p{{N}}\\n]+', ' ', 'g')"
+    t = f"concat(' ', replace(replace({t}, ' ', '  '), chr(10), ' ' || chr(10) || ' '), ' ')"
     for other, spelled in licences.SPELLINGS:
-        t = f"replace({t}, '{other}', '{spelled}')"
-    return f"trim(regexp_replace({t}, ' *\\n[ \\n]*', chr(10), 'g'))"
+        wide = lambda x: f"' {x.replace(' ', '  ')} '"
+        t = f"replace({t}, {wide(other)}, {wide(spelled)})"
+    return f"trim(regexp_replace(regexp_replace({t}, ' *\n[ \n]*', chr(10), 'g'), ' +', ' ', 'g'), ' ' || chr(10))"
 
 
 def _licence_sql() -> str:
     quoted = lambda x: "'" + x.replace("'", "''") + "'"
     known = ", ".join(f"({quoted(n)}, {quoted(t)})" for n, t in licences.NOTICES)
-    return f"""WITH known AS (SELECT sha256(form) AS digest, min(licence) AS licence FROM (SELECT licence, trim(replace({_canonical_sql("t")}, chr(10), ' ')) AS form FROM (VALUES {known}) v(licence, t)) f GROUP BY 1),
+    whole = ", ".join(f"({quoted(name)}, {quoted(digest)})" for name, _, digest in licences.WHOLE)
+    return f"""WITH known AS (SELECT digest, min(licence) AS licence FROM (SELECT licence, sha256(replace({_canonical_sql("t")}, chr(10), ' ')) AS digest FROM (VALUES {known}) v(licence, t) UNION ALL SELECT * FROM (VALUES {whole}) w(licence, digest)) f GROUP BY 1),
  doc AS (SELECT doc_id, {_canonical_sql("text")} AS form FROM documents), lines AS (SELECT DISTINCT doc_id, licence FROM (SELECT doc_id, unnest(string_split(form, chr(10))) AS line FROM doc) l JOIN known ON digest = sha256(line))
  SELECT doc_id, sha256(replace(form, chr(10), ' ')) AS canonical_sha256, known.licence, coalesce((SELECT string_agg(lines.licence, ',' ORDER BY lines.licence) FROM lines WHERE lines.doc_id = doc.doc_id), '') AS notices
  FROM doc LEFT JOIN known ON digest = sha256(replace(form, chr(10), ' '))"""
