@@ -182,7 +182,24 @@ def test_mixing(odd, none, real, texts):
     got = mixing.mix_sources(odd, entropy=0.9).collect()
     assert len(got) == len(ODD) and {r.source for r in got} == {"", "a", "b", "c"}
     assert mixing.mix_sources(none, entropy=0.9).count() == 0
-    assert mixing.mixed(odd, entropy=0.9).columns == odd.columns
+    clashing = odd.withColumns({c: F.lit("mine") for c in ("_copies", "_mix_id", "_copy", "row", "id", "copies", "block", "span")})
+    out = mixing.mixed(clashing, entropy=0.9)
+    assert out.columns == clashing.columns and out.filter("copies = 'mine' and span = 'mine'").count() == mixing.mixed(odd, entropy=0.9).count() > 0
+    # Short blocks and spans: the order is another one, its laws are the same.
+    small = (mixing.BLOCK_TOKENS, mixing.SPAN_BLOCKS)
+    mixing.BLOCK_TOKENS, mixing.SPAN_BLOCKS = 100, 3
+    try:
+        got = mixing.mix_sources(real, entropy=0.97, seed=3).collect()
+    finally:
+        mixing.BLOCK_TOKENS, mixing.SPAN_BLOCKS = small
+    for s in {r.source for r in got}:
+        rs = sorted((r for r in got if r.source == s), key=lambda r: (r.start, r.block_rank, r.tokens > 0))
+        at = 0
+        for r in rs:
+            assert r.start == at
+            at += r.tokens
+        ranks = [r.block_rank for r in rs if r.tokens]
+        assert ranks == sorted(ranks) and len({r.block for r in rs}) == len({r.block_rank for r in rs}) == max(r.block_rank for r in rs)
     with pytest.raises(ValueError):
         mixing.mix_sources(real)
 
@@ -421,7 +438,8 @@ def test_near_duplicates(odd, none, real, texts):
         by[r.doc_id].add(r.class_id)
     assert len(odd_rows) == len(ODD) and by[1] == by[2] == by[3] == {3} and by[4] == {5} and by[6] == {7} and by[9] == by[12] and by[None] == {None}
     assert near.near_duplicates(none).count() == 0
-    assert near.keep_near(odd).columns == odd.columns
+    clashing = odd.withColumns({c: F.lit("mine") for c in ("_gone", "row", "id")})
+    assert near.keep_near(clashing).columns == clashing.columns and near.keep_near(clashing).count() == sum(r.kept or r.doc_id is None for r in odd_rows)
 
 
 def test_large_group_of_near_copies(spark):

@@ -17,8 +17,9 @@ from .common import store
 
 #: Exponents of one round and rounds: 32 ** 5 steps over [0, 1].
 GRID, ROUNDS = 32, 5
-#: Blocks of a source: about BLOCK_TOKENS each, at most MOST_BLOCKS, so no window holds more of a source than that.
-BLOCK_TOKENS, MOST_BLOCKS = 20_000, 65_536
+#: Tokens of a block, about, and blocks of a span: no window holds more than one block's documents, one span's blocks or one source's spans.
+#: A source of 10 ** 14 tokens has some 80,000 spans.
+BLOCK_TOKENS, SPAN_BLOCKS = 20_000, 65_536
 
 
 def word_count(text: Column) -> Column:
@@ -79,7 +80,7 @@ def mix_sources(docs: DataFrame, *, entropy: float | None = None, repeats: float
 
     The budget is budget_share times all tokens.  A source's part of it, floor(weight * budget) tokens, is dealt out as
     passes over a permutation of the source: its documents fall into blocks by a keyed hash, the blocks stand in
-    the order of another keyed hash, and the documents of a block in the order of a third.  start is the number of the
+    the order of another keyed hash (span by span where a source has very many), and the documents of a block in the order of a third.  start is the number of the
     source's tokens before the document in that order.  Every whole pass counts one copy; in the last,
     cut pass a document is taken while start is below what is left of the budget, so a source passes its part by less than
     one document.  Documents without tokens get the whole passes, and the cut one if they stand before its end.
@@ -95,11 +96,17 @@ def mix_sources(docs: DataFrame, *, entropy: float | None = None, repeats: float
     a = exponent(sources, entropy, repeats, budget_share)
     total = sources.agg(F.sum("source_tokens")).first()[0] or 0
     weighed = weights(sources, a).withColumn("part", F.floor(F.col("weight") * F.lit(float(total) * budget_share)).cast("long"))
-    n_blocks = F.least(F.lit(MOST_BLOCKS), F.floor(F.col("source_tokens") / BLOCK_TOKENS) + 1)
-    placed = sized.join(weighed, "source").withColumn("block", F.conv(F.substring("h", 1, 8), 16, 10).cast("long") % n_blocks)
-    blocks = placed.groupBy("source", "block").agg(F.sum("tokens").alias("block_tokens"))
-    order = Window.partitionBy("source").orderBy(F.md5(F.concat(F.lit(f"{seed}/"), F.col("block").cast("string"))), "block")
-    blocks = blocks.select("source", "block", F.row_number().over(order).cast("long").alias("block_rank"), (F.sum("block_tokens").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("block_tokens")).alias("before"))
+    n_blocks = F.floor(F.col("source_tokens") / BLOCK_TOKENS) + 1
+    number = lambda h: F.conv(F.substring(h, 1, 15), 16, 10).cast("long")
+    placed = sized.join(weighed, "source").withColumn("n_blocks", n_blocks).withColumn("block", F.pmod(number(F.col("h")), F.col("n_blocks")))
+    blocks = placed.groupBy("source", "block", "n_blocks").agg(F.sum("tokens").alias("block_tokens"))
+    blocks = blocks.withColumn("o", F.md5(F.concat(F.lit(f"{seed}/"), F.col("block").cast("string")))).withColumn("span", F.pmod(number(F.col("o")), F.floor(F.col("n_blocks") / SPAN_BLOCKS) + 1))
+    spans = blocks.groupBy("source", "span").agg(F.sum("block_tokens").alias("span_tokens"), F.count(F.lit(1)).alias("span_blocks"))
+    until = Window.partitionBy("source").orderBy("span").rowsBetween(Window.unboundedPreceding, 0)
+    spans = spans.select("source", "span", (F.sum("span_tokens").over(until) - F.col("span_tokens")).alias("tokens_before"), (F.sum("span_blocks").over(until) - F.col("span_blocks")).alias("blocks_before"))
+    order = Window.partitionBy("source", "span").orderBy("o", "block")
+    ordered = blocks.select("source", "span", "block", F.row_number().over(order).cast("long").alias("r"), (F.sum("block_tokens").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("block_tokens")).alias("b"))
+    blocks = ordered.join(spans, ["source", "span"]).select("source", "block", (F.col("r") + F.col("blocks_before")).alias("block_rank"), (F.col("b") + F.col("tokens_before")).alias("before"))
     within = Window.partitionBy("source", "block").orderBy("h", F.col("id").asc_nulls_first(), "tokens").rowsBetween(Window.unboundedPreceding, 0)
     ranked = placed.withColumn("inside", F.sum("tokens").over(within) - F.col("tokens")).join(blocks, ["source", "block"])
     start = F.col("before") + F.col("inside")
@@ -109,8 +116,13 @@ def mix_sources(docs: DataFrame, *, entropy: float | None = None, repeats: float
 
 
 def mixed(docs: DataFrame, **how) -> DataFrame:
-    """The rows of docs, each as often as the mixture takes it (not at all, once or more), with all their columns."""
+    """The rows of docs, each as often as the mixture takes it (not at all, once or more), with all their columns.
+
+    Rows with one id and different texts are all taken as often as the one taken most.  An empty table gives an empty one.
+    """
     id_col = how.get("id_col", "doc_id")
-    taken = mix_sources(docs, **how).groupBy(F.col(id_col).alias("_mix_id")).agg(F.max("copies").alias("_copies")).filter("_copies > 0")
-    rows = docs.join(taken, F.col(id_col).eqNullSafe(F.col("_mix_id")))
-    return rows.withColumn("_copy", F.explode(F.expr("sequence(1L, _copies)"))).drop("_mix_id", "_copies", "_copy")
+    # A row travels as one value, so any names of columns will do.
+    whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    taken = mix_sources(docs, **how).groupBy(F.col(id_col).alias("id")).agg(F.max("copies").alias("copies")).filter("copies > 0")
+    rows = whole.join(taken, F.col("row")[id_col].eqNullSafe(F.col("id")))
+    return rows.select("row", F.explode(F.expr("sequence(1L, copies)"))).select("row.*")

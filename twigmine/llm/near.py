@@ -300,7 +300,12 @@ def pairs_verified(words: DataFrame, pairs: DataFrame, least: float) -> DataFram
 
 
 def keep_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs that stay: of every class the one with its largest id (rows with a null id stay), with all their columns."""
+    """The rows of docs that stay: of every class the one with its largest id, with all their columns.
+
+    Rows with a null id stay, rows repeated stay or go together; null texts are empty, and of all empty texts one stays.  Any names of columns
+    will do: a row travels as one value.
+    """
     found = near_duplicates(docs, id_col, text_col)
-    gone = found.filter(~F.col("kept")).select(F.col(id_col).alias("_gone")).distinct()
-    return docs.join(gone, F.col(id_col) == F.col("_gone"), "left_anti")
+    gone = found.filter(~F.col("kept")).select(F.col(id_col).alias("id")).distinct()
+    whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    return whole.join(gone, F.col("row")[id_col] == F.col("id"), "left_anti").select("row.*")

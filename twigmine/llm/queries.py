@@ -136,10 +136,11 @@ def _mixing_sql() -> str:
     parts += [
         f"final AS (SELECT low AS a FROM r{rounds})",
         "norm AS (SELECT sum(pow(p, a)) AS s FROM share, final)",
-        f"weighed AS (SELECT source, source_tokens, CASE WHEN source_tokens > 0 THEN pow(source_tokens / (SELECT CAST(sum(source_tokens) AS DOUBLE) FROM totals), (SELECT a FROM final)) / (SELECT s FROM norm) ELSE 0 END AS weight, least({mixing.MOST_BLOCKS}, source_tokens // {mixing.BLOCK_TOKENS} + 1) AS n_blocks FROM totals)",
+        f"weighed AS (SELECT source, source_tokens, CASE WHEN source_tokens > 0 THEN pow(source_tokens / (SELECT CAST(sum(source_tokens) AS DOUBLE) FROM totals), (SELECT a FROM final)) / (SELECT s FROM norm) ELSE 0 END AS weight, source_tokens // {mixing.BLOCK_TOKENS} + 1 AS n_blocks FROM totals)",
         f"parted AS (SELECT *, CAST(floor(weight * CAST((SELECT sum(source_tokens) FROM totals) AS DOUBLE) * {MIXTURE['budget_share']}) AS BIGINT) AS part FROM weighed)",
-        "placed AS (SELECT s.*, w.source_tokens, w.weight, w.part, CAST('0x' || substr(h, 1, 8) AS BIGINT) % n_blocks AS block FROM sized s JOIN parted w USING (source))",
-        f"blocks AS (SELECT source, block, row_number() OVER o AS block_rank, CAST(sum(t) OVER o - t AS BIGINT) AS before FROM (SELECT source, block, sum(tokens) AS t FROM placed GROUP BY 1, 2) q WINDOW o AS (PARTITION BY source ORDER BY md5('{MIXTURE['seed']}/' || block), block))",
+        "placed AS (SELECT s.*, w.source_tokens, w.weight, w.part, n_blocks, CAST('0x' || substr(h, 1, 15) AS BIGINT) % n_blocks AS block FROM sized s JOIN parted w USING (source))",
+        f"keyed AS (SELECT *, CAST('0x' || substr(o, 1, 15) AS BIGINT) % (n_blocks // {mixing.SPAN_BLOCKS} + 1) AS span FROM (SELECT source, block, sum(tokens) AS t, md5('{MIXTURE['seed']}/' || block) AS o, any_value(n_blocks) AS n_blocks FROM placed GROUP BY 1, 2) q)",
+        "blocks AS (SELECT source, block, row_number() OVER o AS block_rank, CAST(sum(t) OVER (o ROWS UNBOUNDED PRECEDING) - t AS BIGINT) AS before FROM keyed WINDOW o AS (PARTITION BY source ORDER BY span, o, block))",
         "ranked AS (SELECT p.*, block_rank, before + CAST(sum(tokens) OVER (PARTITION BY p.source, p.block ORDER BY h, doc_id, tokens ROWS UNBOUNDED PRECEDING) AS BIGINT) - tokens AS start FROM placed p JOIN blocks b ON p.source = b.source AND p.block = b.block)",
     ]
     return f"WITH {', '.join(parts)} SELECT doc_id, source, CAST(tokens AS BIGINT) AS tokens, source_tokens, round(weight, 9) AS weight, CAST(block AS BIGINT) AS block, CAST(block_rank AS BIGINT) AS block_rank, start, CAST(part // greatest(source_tokens, 1) + CASE WHEN start < part % greatest(source_tokens, 1) THEN 1 ELSE 0 END AS BIGINT) AS copies FROM ranked"
