@@ -386,6 +386,53 @@ def test_distances():
         most.append(m)
         want.append(d if d <= m else -1)
     assert near.edit_distances(pairs, most) == want
+    was = near.WHOLE, near.BAND, near.WIDE
+    try:
+        for near.WHOLE, near.BAND, near.WIDE in ((0, 1, 1 << 15), (0, 2, 1)):
+            assert near.edit_distances(pairs, most) == want
+    finally:
+        near.WHOLE, near.BAND, near.WIDE = was
+    # Long texts: 30,000 words with a tenth of them changed, and with more changes than the limit lets pass.
+    long = np.arange(30_000, dtype=np.uint32) % 997
+    other = long.copy()
+    other[::10] = 5000
+    assert near.edit_distances([(long, other)] * 2, [6000, 2999]) == [3000, -1]
+
+
+def test_bounds_of_word_counts():
+    """No pair that is similar enough is ruled out, whatever its lengths and blocks, and unlike texts are."""
+    rng = np.random.default_rng(9)
+    texts = []
+    for _ in range(60):
+        base = rng.integers(0, 1 << 32, rng.integers(1, 400), dtype=np.uint64).astype(np.uint32)
+        for share in (0, 0.1, 0.25):
+            copy = base[rng.random(len(base)) >= share / 2]
+            copy[rng.random(len(copy)) < share / 2] = 7
+            texts.append(copy if len(copy) else base)
+    n, bins = np.array([len(t) for t in texts]), [np.frombuffer(near.word_bins(t), np.uint8) for t in texts]
+    part = np.arange(len(texts))
+    part[5] = part[4]
+    for own in (np.zeros(len(texts), int), np.arange(len(texts)) % 2):
+        got = {(min(a, b), max(a, b)) for a, b in zip(*near.count_pairs(n, part, own, bins, 0.8), strict=True)}
+        all_pairs = [(a, b) for b in range(len(texts)) for a in range(b) if part[a] != part[b] and (own[a] != own[b] or not own.any())]
+        close = near.edit_distances([(texts[a], texts[b]) for a, b in all_pairs], [near.similarity_at_least(texts[a], texts[b], 0.8) for a, b in all_pairs])
+        links = {p for p, d in zip(all_pairs, close, strict=True) if d >= 0}
+        assert links <= got <= set(all_pairs) and len(got) < len(links) + 0.1 * len(all_pairs)
+
+
+def test_bucket_of_unlike_texts(spark):
+    """Texts with one passage in common and nothing else: the two that are alike find each other, whatever the blocks."""
+    rng = np.random.default_rng(2)
+    passage = " ".join(f"common{i}" for i in range(60))
+    rows = [(k, passage + " " + " ".join(f"own{x}" for x in rng.integers(0, 10**9, 60)), None, None, 1) for k in range(150)]
+    twin = rows[3][1].split()
+    twin[70:80] = ["changed"] * 10
+    rows.append((200, " ".join(twin), None, None, 1))
+    for near.BLOCK in (16, 4096):
+        got = {r.doc_id: r.class_id for r in near.near_duplicates(docs_of(spark, rows)).collect()}
+        assert got == {k: k for k in range(150)} | {3: 200, 200: 200}
+    with pytest.raises(TypeError):
+        near.near_duplicates(docs_of(spark, rows).withColumn("doc_id", F.lit("a")))
 
 
 def test_sketches_follow_order():
@@ -455,6 +502,14 @@ def test_large_group_of_near_copies(spark):
     assert {r.class_id for r in got} == {299} and sum(r.kept for r in got) == 1
 
 
+def test_sketches_stand_alone():
+    texts = ["a b c d e f g", "x y z x y z x y z", "", "a", "b a b a b a b a", "p q r s t u v w"]
+    whole = near.sketch_texts(pa.array(texts))
+    for k, t in enumerate(texts):
+        alone = near.sketch_texts(pa.array([t]))
+        assert all((x[k] == y[0]).all() for x, y in zip(whole, alone, strict=True))
+
+
 def test_keys_reach_similar_texts(spark):
     """Nearly all pairs of similarity 0.8 share a sketch, and all pairs of short texts a key."""
     rng = np.random.default_rng(3)

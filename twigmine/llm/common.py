@@ -13,6 +13,7 @@ import uuid
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql.types import IntegralType
 
 #: White space of the word rule: 0x20 and 0x09 to 0x0D.
 _BLANK = np.zeros(256, bool)
@@ -54,6 +55,13 @@ def release(spark: SparkSession, *stored: DataFrame) -> None:
     jvm.System.gc()
 
 
+def whole_numbers(df: DataFrame, column: str) -> None:
+    """TypeError unless a column holds whole numbers: operators that order and link rows by their ids keep them as BIGINT."""
+    kind = df.schema[column].dataType
+    if not isinstance(kind, IntegralType):
+        raise TypeError(f"{column} is {kind.simpleString()}; whole numbers are asked for")
+
+
 def width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

@@ -13,14 +13,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hashed_words, mix, pieces, release, store, trim
+from .common import hashed_words, mix, pieces, release, store, trim, whole_numbers
 from .components import components
 
 K, PICKS, SKETCHES, SIMILARITY = 3, 2, 40, 0.8
 #: Texts of up to TINY words share a key whenever they are one edit apart; those of up to SHORT words, whenever they share a run of K words.
 TINY, SHORT = 9, 19
-#: Members of a bucket that lead in the second round, and how many times as many in each further one; leaders of a bucket that one task meets.
-LEADERS, BLOCK = 16, 64
+#: Members of a bucket that all others meet in the second round; members that one task of the third compares with as many.
+LEADERS, BLOCK = 4, 4096
+#: Places of a text's word counts: the power of two from its number of words on, between these.
+FEWEST_BINS, MOST_BINS = 64, 4096
+#: Diagonals of the first band to either side; texts aligned by whole columns; bits of a band above which words are looked up row by row.
+BAND, WHOLE, WIDE = 64, 600, 1 << 15
 _G = np.uint64
 
 
@@ -52,12 +56,11 @@ def sketch_texts(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     kmer = mix(kmer)
     key = kmer ^ mix(of.astype(np.uint64) + _G(7))
     order = np.argsort(key, kind="stable")
-    same = np.append(False, key[order][1:] == key[order][:-1])
-    if same.any():
-        run = np.flatnonzero(~same)
-        seen = np.empty(len(key), np.int64)
-        seen[order] = np.arange(len(key)) - np.repeat(run, np.diff(np.append(run, len(key))))
-        kmer = mix(kmer + seen.astype(np.uint64) * _G(0x9E3779B97F4A7C15))
+    # The occurrence goes into every k-mer, repeated or not, so that a text's sketches do not depend on the texts beside it.
+    run = np.flatnonzero(np.append(True, key[order][1:] != key[order][:-1])[: len(key)])
+    seen = np.empty(len(key), np.int64)
+    seen[order] = np.arange(len(key)) - np.repeat(run, np.diff(np.append(run, len(key))))
+    kmer = mix(kmer + seen.astype(np.uint64) * _G(0x9E3779B97F4A7C15))
     out = np.zeros((n, SKETCHES), np.uint64)
     full = np.flatnonzero(counts)
     top = _G(0xFFFFFFFFFFFFFFFF)
@@ -113,11 +116,10 @@ def edit_distances(pairs: list[tuple[np.ndarray, np.ndarray]], most: list[int])
     """Exact edit distance of each pair of word sequences, or -1 if it is above the pair's limit.
 
     Ends that agree are cut off; the words that one text has more of than the other bound the distance from below.  The rest is
-    aligned in a band around the diagonal that doubles until the distance fits in it or the limit is passed.
+    aligned in a band around the diagonal that grows until the distance fits in it or the limit is passed.
     """
-    out = [-1] * len(pairs)
-    rest: list[tuple[int, np.ndarray, np.ndarray, int]] = []
-    for i, (x, y) in enumerate(pairs):
+    out = []
+    for (x, y), limit in zip(pairs, most, strict=True):
         short = min(len(x), len(y))
         differ = np.flatnonzero(x[:short] != y[:short])
         cut = int(differ[0]) if len(differ) else short
@@ -127,66 +129,101 @@ def edit_distances(pairs: list[tuple[np.ndarray, np.ndarray]], most: list[int])
         cut = int(differ[0]) if len(differ) else short
         x, y = x[: len(x) - cut], y[: len(y) - cut]
         if not len(x) or not len(y):
-            out[i] = len(x) + len(y) if len(x) + len(y) <= most[i] else -1
+            out.append(len(x) + len(y) if len(x) + len(y) <= limit else -1)
             continue
         codes = np.unique(np.concatenate([x, y]), return_inverse=True)[1]
-        a, b = codes[: len(x)].astype(np.int32), codes[len(x) :].astype(np.int32)
+        a, b = codes[: len(x)], codes[len(x) :]
         counts = np.bincount(a, minlength=codes.max() + 1) - np.bincount(b, minlength=codes.max() + 1)
-        if max(counts[counts > 0].sum(), -counts[counts < 0].sum()) <= most[i]:
-            rest.append((i, a, b, most[i]))
-    band = 8
-    while rest:
-        rest.sort(key=lambda r: len(r[1]))
-        again = []
-        at = 0
-        while at < len(rest):
-            longest, size = 0, 0
-            while at + size < len(rest) and size < 256 and (size + 1) * (len(rest[at + size][1]) + 2 * band) <= max(500_000, len(rest[at][1]) + 2 * band):
-                size += 1
-            group = rest[at : at + max(size, 1)]
-            at += len(group)
-            ok = [abs(len(x) - len(y)) <= band for _, x, y, _ in group]
-            again += [r for r, fits in zip(group, ok, strict=True) if not fits]
-            group = [r for r, fits in zip(group, ok, strict=True) if fits]
-            if not group:
-                continue
-            longest = max(len(r[1]) for r in group)
-            xs = np.full((len(group), longest), -1, np.int32)
-            ys = np.full((len(group), longest + 2 * band + 1), -2, np.int32)
-            for g, (_, x, y, _) in enumerate(group):
-                xs[g, : len(x)] = x
-                ys[g, band : band + len(y)] = y
-            found = _banded(xs, ys, np.array([len(r[1]) for r in group]), np.array([len(r[2]) for r in group]), band)
-            for (i, x, y, limit), d in zip(group, found.tolist(), strict=True):
-                if d <= min(band, limit):
-                    out[i] = d
-                elif band < limit:
-                    again.append((i, x, y, limit))
-        rest, band = again, band * 2
+        fits = max(counts[counts > 0].sum(), -counts[counts < 0].sum()) <= limit
+        out.append(_aligned(a, b, limit) if fits else -1)
     return out
 
 
-def _banded(xs: np.ndarray, ys: np.ndarray, nx: np.ndarray, ny: np.ndarray, band: int) -> np.ndarray:
-    """Distances along a band of 2 * band + 1 diagonals, all pairs a row at a time."""
-    w = 2 * band + 1
-    far = np.int32(1 << 28)
-    step = np.arange(w, dtype=np.int32)
-    d = np.where(step >= band, step - band, far)[None, :].repeat(len(xs), 0).astype(np.int32)
-    found = np.full(len(xs), far, np.int32)
-    for i in range(1, xs.shape[1] + 1):
-        new = d + (ys[:, i - 1 : i - 1 + w] != xs[:, i - 1 : i])
-        np.minimum(new[:, :-1], d[:, 1:] + 1, out=new[:, :-1])
-        # Insertions run along the row: a running minimum of the value less its place.
-        new -= step
-        np.minimum.accumulate(new, axis=1, out=new)
-        new += step
-        if i <= band:
-            new[:, : band - i] = far
-        d = new
-        ended = np.flatnonzero(nx == i)
-        if len(ended):
-            found[ended] = d[ended, (ny - nx)[ended] + band]
-    return found
+def _aligned(x: np.ndarray, y: np.ndarray, most: int) -> int:
+    """Short texts by whole columns, longer ones in a band of BAND diagonals to either side, then four times as many, up to the limit."""
+    if len(x) < len(y):
+        x, y = y, x
+    band = max(BAND, len(x) - len(y))
+    while True:
+        k = min(band, most)
+        if len(x) <= max(WHOLE, 2 * k + 2):
+            return _columns(x.tolist(), y.tolist(), most)
+        found = _banded(x, y, k)
+        if found >= 0 or k == most:
+            return found
+        band *= 4
+
+
+def _columns(x: list[int], y: list[int], most: int) -> int:
+    """Distance by columns of the alignment's table, each a whole number whose bits say where its values step up or down.
+
+    Such bit-parallel columns are due to Myers (1999).  Stops where the last row can't come back under the limit.
+    """
+    places: dict[int, int] = {}
+    for i, c in enumerate(x):
+        places[c] = places.get(c, 0) | 1 << i
+    every, last = (1 << len(x)) - 1, 1 << (len(x) - 1)
+    up, down, score, left = every, 0, len(x), len(y)
+    for c in y:
+        eq = places.get(c, 0)
+        zero = (((eq & up) + up) ^ up) | eq | down
+        more, less = down | (every & ~(zero | up)), zero & up
+        left -= 1
+        if more & last:
+            score += 1
+            if score - left > most:
+                return -1
+        elif less & last:
+            score -= 1
+        more = more << 1 | 1
+        up, down = (less << 1 | ~(zero | more)) & every, more & zero & every
+    return score if score <= most else -1
+
+
+def _banded(x: np.ndarray, y: np.ndarray, most: int) -> int:
+    """Distance along a band of most diagonals on either side, after Hyyro (2003), for len(x) > 2 * most + 2; -1 above most.
+
+    The column's bits move down one row with each word of y.  Where a word stands in x is kept for a stretch of rows; bands of over WIDE
+    bits look it up row by row instead, so memory follows the texts.  Stops once the band's lower edge, and later the last row, is past the limit for good.
+    """
+    m, n = len(x), len(y)
+    width = 2 * most + 2
+    every, top = (1 << width) - 1, 1 << (width - 1)
+    up, down, score = every ^ ((1 << (width - most - 1)) - 1), 0, most
+    at, turn, edge = most + 1 - width, m - most, top >> 1
+    base, places = None, {}
+    if width > WIDE:
+        order = np.argsort(x, kind="stable")
+        ranked = x[order]
+    for j, c in enumerate(y.tolist()):
+        if width > WIDE:
+            rows = order[np.searchsorted(ranked, c) : np.searchsorted(ranked, c, side="right")] - at
+            rows = rows[(rows >= 0) & (rows < width)]
+            bits = np.zeros(width, np.uint8)
+            bits[rows] = 1
+            eq = int.from_bytes(np.packbits(bits, bitorder="little").tobytes(), "little") if len(rows) else 0
+        else:
+            if base is None or at - base > width:
+                base, places = at, {}
+                for i, w in enumerate(x[max(at, 0) : max(at + 2 * width + 1, 0)].tolist(), max(at, 0) - at):
+                    places[w] = places.get(w, 0) | 1 << i
+            eq = places.get(c, 0) >> (at - base) & every
+        zero = ((((eq & up) + up) ^ up) | eq | down) & every
+        more, less = down | (every & ~(zero | up)), zero & up
+        if j < turn:
+            score += not zero & top
+            # On the edge's diagonal nothing falls; from its end at most the words that are left can be won back.
+            if score - (n - turn) > most:
+                return -1
+        else:
+            score += 1 if more & edge else -1 if less & edge else 0
+            edge >>= 1
+            if score - (n - 1 - j) > most:
+                return -1
+        half = zero >> 1
+        up, down = less | (every & ~(half | more)), half & more
+        at += 1
+    return score if score <= most else -1
 
 
 def similarity_at_least(x: np.ndarray, y: np.ndarray, least: float) -> int:
@@ -198,17 +235,19 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """One row per row of docs: id, class_id (largest id of its class), kept (it is that id), n_words.
 
     Texts with the same words (A-Z lower-cased) are one class from the start and go on as one representative.
-    Representatives that share a key are compared with the largest id among them, then in rounds with more of them, until no
-    pair of a bucket is left that is neither compared nor in one class (see linked).  Verified
-    pairs are links, and classes are the connected components.  Null texts are empty, and all empty texts one class.  Rows with a
+    Representatives that share a key are candidates: every pair of them is verified, ruled out by a bound that is never above the distance, or in one
+    class already (see linked).  Verified pairs are links, and classes are the connected components.  Words are compared as hashes of 32 bits.
+
+    Ids are whole numbers (others raise TypeError).  Null texts are empty, and all empty texts one class.  Rows with a
     null id join the class of an equal text with an id, or have a null class.  Rows with one id and different texts share their class.
     """
+    whole_numbers(docs, id_col)
     kind = "bigint"
     rows = docs.select(F.col(id_col).cast(kind).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
 
     def run(batches):
         for whole in batches:
-            for batch in pieces(whole, "text"):
+            for batch in pieces(whole, "text", 500_000):
                 sig, sizes, sketches = sketch_texts(batch.column("text"))
                 signed = sketches.view(np.int64)
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(len(sizes) + 1) * SKETCHES, pa.int32()), pa.array(signed.ravel(), pa.int64()))
@@ -231,52 +270,123 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 def linked(rows: DataFrame, shared: DataFrame, least: float) -> DataFrame:
     """node, component of the representatives of shared (key, rep, n, leader, c) that are linked to another one.
 
-    First every member of a bucket of c meets its leader.  In each further round LEADERS times as many members of a bucket lead, drawn by a hash,
-    and meet all members that are not in their class; the last round has every member lead.  Buckets of one class, or
-    whose members have all led, are done, so a bucket of like texts ends early and no pair that can be a new link is left out.
-    A leader's rows are dealt by BLOCK leaders of a bucket, so no task has more than so many times a bucket's rows.
+    First every member of a bucket of c meets its leader.  Then members of buckets that hold several classes meet LEADERS drawn ones, and at last all
+    those that are not in their class, block by block of the bucket, where only pairs go on that pass the bounds of length and of word
+    counts.  So a bucket of like texts ends early, one of unlike texts that have a passage in common makes few pairs, and no pair that can be a new link is left out.
     """
     words = words_of(rows, shared.select(F.col("rep").alias("id")).distinct())
     tested = store(shared.filter("rep <> leader").select("rep", "leader").distinct(), "near-pairs")
     links = store(pairs_verified(words, tested, least), "near-links")
     of = components(links)
-    # Buckets of two have had their only pair.
-    largest = shared.agg(F.max("c")).first()[0] or 0
-    last, bound = 0, LEADERS
-    while largest > 2 and last < largest:
-        turn = F.pmod(F.xxhash64("rep", F.lit("turn")), F.lit(1 << 31)) * F.col("c") / (1 << 31)
-        rest = shared.filter((F.col("c") > max(last, 2)) & (F.col("rep") != F.col("leader"))).join(of, F.col("rep") == F.col("node"), "left")
-        rest = rest.select("key", "rep", "n", "c", F.coalesce("component", "rep").alias("part"), turn.alias("turn")).filter(F.col("turn") >= last)
-        mixed = rest.groupBy("key").agg(F.min("part").alias("low"), F.max("part").alias("high")).filter("low <> high").select("key")
-        rest = store(rest.join(mixed, "key").withColumns({"leads": F.col("turn") < bound, "salts": F.ceil(F.least(F.lit(bound), F.col("c")) / BLOCK).cast("int")}), "near-open")
+    for meet in (drawn_pairs, block_pairs):
+        # Buckets of two have had their only pair.
+        rest = shared.filter("c > 2").join(of, F.col("rep") == F.col("node"), "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("part"))
+        mixed = store(rest.groupBy("key").agg(F.min("part").alias("low"), F.max("part").alias("high"), F.count(F.lit(1)).alias("c")).filter("low <> high").select("key", "c"), "near-mixed")
+        rest = store(rest.join(mixed, "key"), "near-open")
         if rest.isEmpty():
             break
-        heads = rest.filter("leads").select("key", F.pmod(F.hash("rep"), "salts").alias("salt"), F.col("rep").alias("head"), F.col("n").alias("m"), F.col("part").alias("head_part"))
-        met = rest.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).join(heads.hint("merge"), ["key", "salt"])
-        met = met.filter("part <> head_part and (not leads or rep < head)").filter(F.least("n", "m") >= least * F.greatest("n", "m") - 1e-6)
-        pairs = met.select(F.least("rep", "head").alias("rep"), F.greatest("rep", "head").alias("leader")).distinct()
-        pairs = store(pairs.join(tested, ["rep", "leader"], "left_anti"), "near-pairs")
+        pairs = meet(rest, words, least).select(F.least("rep", "head").alias("rep"), F.greatest("rep", "head").alias("leader")).distinct()
+        pairs = store(pairs.join(tested.select(F.least("rep", "leader").alias("rep"), F.greatest("rep", "leader").alias("leader")), ["rep", "leader"], "left_anti"), "near-pairs")
         tested, before = tested.union(pairs), links
         links = store(links.union(pairs_verified(words, pairs, least)), "near-links")
         release(rows.sparkSession, rest, before)
         of = components(links)
-        last, bound = bound, bound * LEADERS
     return of
 
 
+def drawn_pairs(rest: DataFrame, words: DataFrame, least: float) -> DataFrame:
+    """rep, head: every open member with LEADERS members of its bucket, drawn by a hash, where the lengths allow the similarity."""
+    drawn = rest.groupBy("key").agg(*[F.max(F.struct(F.xxhash64("rep", F.lit(k)), F.col("rep").alias("head"), F.col("n").alias("m"), F.col("part").alias("head_part"))).alias(f"h{k}") for k in range(LEADERS)])
+    heads = store(drawn.select("key", F.explode(F.array_distinct(F.array(*[F.struct(f"h{k}.head", f"h{k}.m", f"h{k}.head_part") for k in range(LEADERS)]))).alias("h")).select("key", "h.*"), "near-heads")
+    met = rest.join(heads, "key").filter("part <> head_part")
+    return met.filter(F.least("n", "m") >= least * F.greatest("n", "m") - 1e-6).select("rep", "head")
+
+
+def block_pairs(rest: DataFrame, words: DataFrame, least: float) -> DataFrame:
+    """rep, head: all pairs of members of a bucket that are in different classes and pass the bounds.
+
+    A bucket is dealt into blocks of about BLOCK members by a hash; two blocks, or one with itself, meet in one place, where a group holds no more
+    than two blocks.  Members are compared by counts of their words in hashed places: what one has more of is no more than the distance.
+    """
+    blocks = F.ceil(F.col("c") / BLOCK).cast("int")
+    own = F.pmod(F.hash("rep", F.lit("block")), blocks)
+    dealt = rest.withColumns({"own": own, "other": F.explode(F.sequence(F.lit(0), blocks - 1))})
+    dealt = dealt.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "rep", "n", "part")
+    filled = dealt.join(words.select(F.col("id").alias("rep"), "bins"), "rep")
+    names = ["key", "lo", "hi", "own", "rep", "n", "part", "bins"]
+
+    def meet(batches):
+        held = None
+        for batch in batches:
+            rows = pa.Table.from_batches([batch]).select(names)
+            rows = pa.concat_tables([held, rows]).combine_chunks() if held is not None else rows
+            groups = np.stack([rows.column(c).to_numpy() for c in ("key", "lo", "hi")])
+            cuts = np.append(np.flatnonzero(np.append(True, (groups[:, 1:] != groups[:, :-1]).any(axis=0))), rows.num_rows)
+            for a, z in zip(cuts[:-2], cuts[1:-1], strict=True):
+                yield from met(rows.slice(a, z - a))
+            held = rows.slice(cuts[-2]) if rows.num_rows else None
+        if held is not None:
+            yield from met(held)
+
+    def met(group):
+        rep, n, part, own = (group.column(c).to_numpy() for c in ("rep", "n", "part", "own"))
+        bins = [np.frombuffer(b, np.uint8) for b in group.column("bins").to_pylist()]
+        first, second = count_pairs(n, part, own, bins, least)
+        for at in range(0, len(first), 50_000):
+            yield pa.RecordBatch.from_arrays([pa.array(rep[first[at : at + 50_000]]), pa.array(rep[second[at : at + 50_000]])], ["rep", "head"])
+
+    placed = filled.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi")
+    return placed.mapInArrow(meet, "rep bigint, head bigint")
+
+
+def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.ndarray], least: float) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the pairs in different parts, of different blocks where there are two, whose lengths and word counts allow the similarity."""
+    order = np.argsort(n, kind="stable")
+    two = own.min() != own.max()
+    sizes = np.array([len(bins[i]) for i in order])
+    found = ([], [])
+    # Of two texts the longer has as many places as the shorter, or more; it is folded to the shorter one's.
+    for size in np.unique(sizes):
+        reach = np.flatnonzero(sizes >= size)
+        table = np.stack([np.minimum(bins[order[i]].reshape(-1, size).sum(axis=0, dtype=np.uint32), 255).astype(np.uint8) for i in reach])
+        total = table.sum(axis=1, dtype=np.int64)
+        place, length, classes, block = order[reach], n[order[reach]], part[order[reach]], own[order[reach]]
+        ends = np.searchsorted(length, np.floor(length / least + 1e-6), side="right")
+        for i in np.flatnonzero(sizes[reach] == size):
+            # Texts as long as this one or longer stand behind it.
+            near = np.arange(i + 1, ends[i])
+            near = near[(classes[near] != classes[i]) & ((block[near] != block[i]) if two else True)]
+            if len(near):
+                common = np.minimum(table[near], table[i]).sum(axis=1, dtype=np.uint32)
+                ok = near[np.maximum(total[near], total[i]) - common <= np.floor((1 - least) * length[near] + 1e-9)]
+                found[0].append(np.full(len(ok), place[i]))
+                found[1].append(place[ok])
+    return tuple(np.concatenate(f).astype(np.int64) if f else np.zeros(0, np.int64) for f in found)
+
+
+def word_bins(words: np.ndarray) -> bytes:
+    """How often words fall into each of a power of two of places, up to 255."""
+    size = FEWEST_BINS
+    while size < min(len(words), MOST_BINS):
+        size *= 2
+    return np.minimum(np.bincount(words % size, minlength=size), 255).astype(np.uint8).tobytes()
+
+
 def words_of(rows: DataFrame, need: DataFrame) -> DataFrame:
-    """id, words of the rows whose ids stand in need; of rows with one id the longest text counts."""
+    """id, words, bins (word_bins) of the rows whose ids stand in need; of rows with one id the longest text counts."""
 
     def to_words(batches):
         for whole in batches:
             for batch in pieces(whole, "text"):
                 words, first = hashed_words(batch.column("text"))
                 small = words.astype("<u4")
-                yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([small[a:b].tobytes() for a, b in zip(first[:-1], first[1:], strict=True)], pa.binary())], ["id", "words"])
+                texts = [small[a:b] for a, b in zip(first[:-1], first[1:], strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([t.tobytes() for t in texts], pa.binary()), pa.array([word_bins(t) for t in texts], pa.binary())], ["id", "words", "bins"])
 
     # Every size takes the same way: a broadcast of these ids would grow with the corpus.
-    wanted = rows.join(need.hint("merge"), "id", "left_semi").mapInArrow(to_words, "id bigint, words binary")
-    return store(wanted.groupBy("id").agg(F.max_by("words", F.octet_length("words")).alias("words")), "near-words")
+    wanted = rows.join(need.hint("merge"), "id", "left_semi").mapInArrow(to_words, "id bigint, words binary, bins binary")
+    longest = F.max_by(F.struct("words", "bins"), F.octet_length("words")).alias("w")
+    return store(wanted.groupBy("id").agg(longest).select("id", "w.*"), "near-words")
 
 
 def pairs_verified(words: DataFrame, pairs: DataFrame, least: float) -> DataFrame:
