@@ -276,8 +276,7 @@ def linked(rows: DataFrame, shared: DataFrame, least: float) -> DataFrame:
     """
     words = words_of(rows, shared.select(F.col("rep").alias("id")).distinct())
     tested = store(shared.filter("rep <> leader").select("rep", "leader").distinct(), "near-pairs")
-    links = store(pairs_verified(words, tested, least), "near-links")
-    of = components(links)
+    of = components(store(pairs_verified(words, tested, least), "near-links"))
     for meet in (drawn_pairs, block_pairs):
         # Buckets of two have had their only pair.
         rest = shared.filter("c > 2").join(of, F.col("rep") == F.col("node"), "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("part"))
@@ -287,13 +286,22 @@ def linked(rows: DataFrame, shared: DataFrame, least: float) -> DataFrame:
             break
         pairs = meet(rest, words, least).select(F.least("rep", "head").alias("rep"), F.greatest("rep", "head").alias("leader")).distinct()
         pairs = store(pairs.join(tested.select(F.least("rep", "leader").alias("rep"), F.greatest("rep", "leader").alias("leader")), ["rep", "leader"], "left_anti"), "near-pairs")
-        tested, before = tested.union(pairs), links
-        links = store(links.union(pairs_verified(words, pairs, least)), "near-links")
-        release(rows.sparkSession, rest, before)
-        of = components(links)
+        tested = tested.union(pairs)
+        of = merged(of, store(pairs_verified(words, pairs, least), "near-links"))
+        release(rows.sparkSession, rest)
     return of
 
 
+def merged(of: DataFrame, links: DataFrame) -> DataFrame:
+    """node, component after further links (a, b): only classes that they join are gone through again."""
+    part = lambda c: of.select(F.col("node").alias(c), F.col("component").alias(f"{c}_part"))
+    ends = links.join(part("a"), "a", "left").join(part("b"), "b", "left")
+    between = ends.select(F.coalesce("a_part", "a").alias("a"), F.coalesce("b_part", "b").alias("b")).filter("a <> b").distinct()
+    joined = components(between)
+    known = of.join(joined.select(F.col("node").alias("component"), F.col("component").alias("over")), "component", "left").select("node", F.coalesce("over", "component").alias("component"))
+    return store(known.union(joined.join(of, "node", "left_anti")), "near-classes")
+
+
 def drawn_pairs(rest: DataFrame, words: DataFrame, least: float) -> DataFrame:
     """rep, head: every open member with LEADERS members of its bucket, drawn by a hash, where the lengths allow the similarity."""
     drawn = rest.groupBy("key").agg(*[F.max(F.struct(F.xxhash64("rep", F.lit(k)), F.col("rep").alias("head"), F.col("n").alias("m"), F.col("part").alias("head_part"))).alias(f"h{k}") for k in range(LEADERS)])
