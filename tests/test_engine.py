@@ -11,7 +11,7 @@ from twigmine.model.query import TreeQuery, parse_pattern, pure
 from twigmine.model.shape import shapes
 from twigmine.operators import browse, rules
 from twigmine.operators.catalog import Catalog, diff
-from twigmine.operators.miner import Budget, brute_force, candidates, flock, mine, mine_tree, per_instance, reduced_rows
+from twigmine.operators.miner import Budget, Metrics, brute_force, candidates, flock, mine, mine_tree, mine_tree_cube, per_instance, reduced_rows
 from twigmine.plans.twig import answers, cube_tables, is_frequent, matchings, support, support_table
 
 RUN = [(0, 1), (0, 2), (0, 3), (1, 4), (2, 4), (2, 5), (3, 6)]
@@ -118,10 +118,26 @@ def test_searches_give_one_answer(run):
     assert rows(reduced_rows(plain.tables.support)) == want
     assert plain.metrics.support_queries > found.metrics.support_queries
     assert rows(mine(run, 3, 3, strategy="cube").tables.support) == want
+    assert rows(mine(run, 3, 3, strategy="auto").tables.support) == want
     assert found.metrics.patterns == len(want) == 28
     assert found.metrics.pruned["redundant"] > 0 and found.metrics.pruned["copy"] > 0
 
 
+def test_searches_on_random_graphs(spark):
+    """All parents' tables met where their pins come together."""
+    import random
+
+    r = random.Random(4)
+    g = graph(spark, sorted({(r.randrange(7), r.randrange(7)) for _ in range(16)}))
+    for levels in ((0, 1, 1), (0, 1, 2)):
+        want = {}
+        for p in all_marks(levels, "full"):
+            for x in support_table(g, p, minsup=4, strategy="expand").collect():
+                want[p.refined(), tuple(x[:-1])] = x[-1]
+        for found in (mine_tree(g, levels, 4), mine_tree_cube(g, levels, 4, Metrics())):
+            assert {(x.pattern_key, tuple(x.pins)): x.freq for x in found.collect()} == want
+
+
 def test_candidates_are_what_all_generalisations_allow(run):
     found = mine_tree(run, (0, 1, 1), 3)
     from twigmine.operators.catalog import Tables
@@ -138,6 +154,10 @@ def test_flock_and_single_counts(run):
     p = parse_pattern("#r(#c,z)").pattern
     found = {r.pattern_key: 0 for r in flock(run, p, 3).tables.support.collect()}
     assert set(found) == {pattern_key(parse_pattern(t).pattern) for t in ("x(y,z)", "#r(y,z)", "x(#c,z)", "#r(#c,z)")}
+    deep = {(r.pattern_key, tuple(r.pins)): r.freq for r in flock(run, parse_pattern("#r(?(#c),z)").pattern, 2).tables.support.collect()}
+    for t in ("x(?(y),z)", "#r(?(y),z)", "x(?(#c),z)", "#r(?(#c),z)"):
+        q = parse_pattern(t).pattern
+        assert {k: v for (name, k), v in deep.items() if name == pattern_key(q)} == {tuple(r[:-1]): r[-1] for r in support_table(run, q, minsup=2, strategy="expand").collect()}
     one = dict(per_instance(run, parse_pattern("#r(#c,z)").pattern, 3))
     assert one == table(run, "#r(#c,z)", 3)
     with pytest.raises(ValueError):
@@ -157,6 +177,16 @@ def test_budget_and_restart(run, spark, tmp_path):
     catalog.export(str(tmp_path / "out"), p)
     assert spark.read.option("header", "true").csv(str(tmp_path / "out")).count() == 4
     assert diff(catalog.support, catalog.support).count() == 0
+    # Another threshold, dedup or graph is refused: its tables would be mixed with these.
+    for other in (lambda: mine(run, 1, 2, catalog=catalog), lambda: mine(run, 3, 2, "none", catalog=catalog), lambda: mine(graph(spark, [(0, 1)]), 3, 2, catalog=catalog)):
+        with pytest.raises(ValueError):
+            other()
+    # A tree that was cut short is taken up again.
+    third = Catalog(spark, str(tmp_path / "short"), "bigint")
+    first = mine(run, 3, budget=Budget(max_nodes=3, max_patterns=8), catalog=third)
+    assert first.metrics.cut_short and 0 < third.support.count() < 28 and len(third.finished()) < 4
+    mine(run, 3, 3, catalog=third)
+    assert rows(third.support) == rows(brute_force(run, 3, 3))
     with pytest.raises(ValueError):
         mine(run, 3)
     with pytest.raises(ValueError):
@@ -198,6 +228,10 @@ def test_live_rules_and_one_fold(run, store):
     lhs = TreeQuery((0, 2), parse_pattern("x(#a,z)").pattern)
     live = rules.mine_rules_live(run, lhs, 3, "0.3", 3)
     assert live.exceptAll(rules.mine_rules(store, lhs, "0.3", run)).count() == 0
+    trees = dict(rules.rules_by_tree(run, lhs, 3, "0.3", 3))
+    assert list(trees) == [(0, 1), (0, 1, 2), (0, 1, 1)] and sum(t.count() for t in trees.values()) == live.count() > 0
+    counted = rules.count_rules(live).first()
+    assert counted.instances == live.count() and counted.rhs_queries == len({(r.rhs_key, tuple(r.fold)) for r in live.collect()})
     one = rules.rule_table(store, lhs, parse_pattern("#r(#a,z)").pattern, (0, 1, 2), "0.1", run)
     assert {(tuple(r.rhs_pins), r.freq, r.lhs_freq) for r in one.collect()} == {((0, i), 3, 3) for i in (1, 2, 3)}
 

@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .storage import cut
+
 #: Dictionaries and edge sets up to this many rows may be broadcast (about 40 bytes a row).
 MOST_BROADCAST = 1_000_000
 
@@ -42,6 +44,15 @@ class Graph:
     def release(self) -> None:
         self.edges.unpersist()
 
+    def stored(self) -> Graph:
+        """With the edges written to the shared folder: for searches that read them again and again and leave nothing in memory."""
+        return Graph(cut(self.edges, "edges"), self.dropped)
+
+    def identity(self) -> str:
+        """Number of edges and a sum of their hashes: equal for equal graphs, whatever their order."""
+        n, a = self.edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64(F.col("src").cast("string"), F.col("dst").cast("string")).cast("decimal(38,0)"))).first()
+        return f"{n}:{a or 0}"
+
 
 def load(edges: DataFrame, src: str = "src", dst: str = "dst", count_dropped: bool = False) -> Graph:
     """A graph from any two columns: rows with a null end are left out (and counted on request), duplicates removed."""
@@ -74,7 +85,8 @@ def dictionary(g: Graph) -> DataFrame:
     Keys are range-partitioned and numbered within a partition; a partition starts where the ones before it end.  Only the
     partitions' sizes come to the driver."""
     placed = g.nodes.select(F.col("id").alias("key")).repartitionByRange("key").sortWithinPartitions("key")
-    placed = placed.withColumn("part", F.spark_partition_id()).persist()
+    # Written, so that a partition computed again can't cut the keys elsewhere.
+    placed = cut(placed.withColumn("part", F.spark_partition_id()), "names")
     sizes = placed.groupBy("part").count().orderBy("part").collect()
     start, at = {}, 0
     for r in sizes:

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import product
 
 from .pattern import FREE, HIDDEN, PINNED, Pattern
 from .query import TreeQuery
@@ -41,18 +40,23 @@ def match_matrix(p1: Pattern, p2: Pattern) -> list[list[bool]]:
 
 
 def fold_maps(p1: Pattern, p2: Pattern) -> Iterator[Fold]:
-    """All fold maps.  Every choice on the way down is one that the matrix says can be finished, so no branch is dead."""
-    m, k1, k2 = match_matrix(p1, p2), p1.children, p2.children
-
-    def below(i: int, j: int) -> Iterator[tuple[tuple[int, int], ...]]:
-        options = [[(d, rest) for d in k2[j] if m[c][d] for rest in below(c, d)] for c in k1[i]]
-        for choice in product(*options):
-            yield ((i, j), *(x for _, rest in choice for x in rest))
-
-    for j in range(p2.size):
-        if m[0][j]:
-            for pairs in below(0, j):
-                yield tuple(b for _, b in sorted(pairs))
+    """All fold maps, one at a time: nodes are placed in preorder, and every choice is one that the matrix says can be finished.
+
+    So no branch is dead, the next map is never further away than both patterns' sizes multiplied, and only one map is held.
+    """
+    m, parent, k2 = match_matrix(p1, p2), p1.parent, p2.children
+    f = [0] * p1.size
+
+    def place(i: int) -> Iterator[Fold]:
+        if i == p1.size:
+            yield tuple(f)
+            return
+        for j in k2[f[parent[i]]] if i else range(p2.size):
+            if m[i][j]:
+                f[i] = j
+                yield from place(i + 1)
+
+    yield from place(0)
 
 
 def covers_free(f: Fold, p2: Pattern, p1: Pattern | None = None) -> bool:

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import cache
 
 Levels = tuple[int, ...]
 
@@ -41,31 +40,27 @@ def canonical_shape(levels: Levels) -> Levels:
     return walk(0, 0)
 
 
-@cache
-def _trees(n: int) -> tuple[Levels, ...]:
-    """All canonical sequences of n nodes, largest first."""
-    if n == 1:
-        return ((0,),)
-    return tuple(sorted(((0, *(x + 1 for t in forest for x in t)) for forest in _forests(n - 1, None)), reverse=True))
-
-
-def _forests(n: int, most: Levels | None) -> Iterator[tuple[Levels, ...]]:
-    """Multisets of trees with n nodes in all, as falling sequences of trees not above most."""
-    if n == 0:
-        yield ()
-        return
-    for size in range(n, 0, -1):
-        for tree in _trees(size):
-            if most is None or tree <= most:
-                for rest in _forests(n - size, tree):
-                    yield (tree, *rest)
+def next_shape(levels: Levels) -> Levels | None:
+    """The next smaller canonical sequence of as many nodes: the last node below depth one goes up to stand beside its parent, and what follows repeats the branch it left."""
+    last = max((i for i, depth in enumerate(levels) if depth > 1), default=None)
+    if last is None:
+        return None
+    above = max(i for i in range(last) if levels[i] == levels[last] - 1)
+    out = list(levels[:last])
+    while len(out) < len(levels):
+        out.append(out[len(out) - (last - above)])
+    return tuple(out)
 
 
 def shapes(max_nodes: int | None = None, min_height: int = 0) -> Iterator[Levels]:
-    """Every unordered rooted tree once, by growing size; without max_nodes it goes on until the caller stops."""
+    """Every unordered rooted tree once, by growing size, the path first; without max_nodes it goes on until the caller stops.  Only the last tree is held."""
     n = 1
     while max_nodes is None or n <= max_nodes:
-        yield from (t for t in _trees(n) if height(t) >= min_height)
+        tree: Levels | None = tuple(range(n))
+        while tree is not None:
+            if height(tree) >= min_height:
+                yield tree
+            tree = next_shape(tree)
         n += 1
 
 

@@ -58,7 +58,10 @@ class Tables:
 
 
 class Catalog(Tables):
-    """Tables in a folder of parquet files, partitioned by size and tree, with the list of finished trees."""
+    """Tables in a folder of parquet files, partitioned by size and tree, with the list of finished trees.
+
+    One catalog holds one database: of one graph, one threshold, and one way of leaving out equivalent patterns.
+    """
 
     def __init__(self, spark: SparkSession, path: str, node_type: str = "string"):
         self.spark, self.path, self._type = spark, path, node_type
@@ -77,10 +80,21 @@ class Catalog(Tables):
     def node_type(self) -> str:
         return self._type
 
-    def write(self, tree_key: str, df: DataFrame, run: str = "") -> None:
-        """Store a tree's tables and mark it finished.  Writing a tree again replaces it."""
+    def claim(self, graph_id: str, minsup: int, dedup: str) -> None:
+        """Say what the tables are of; ValueError if those stored are of another graph or threshold or were left out in another way."""
+        own = (graph_id, minsup, dedup)
+        held = {tuple(r) for r in self._read("_database", "graph_id string, minsup int, dedup string").distinct().collect()}
+        if held - {own}:
+            raise ValueError(f"the catalog holds tables of {sorted(held - {own})}, not of {own}")
+        if not held:
+            self.spark.createDataFrame([own], "graph_id string, minsup int, dedup string").coalesce(1).write.mode("append").parquet(f"{self.path}/_database")
+
+    def write(self, tree_key: str, df: DataFrame, run: str = "", whole: bool = True) -> None:
+        """Store a tree's tables and mark it finished if they are whole.  Writing a tree again replaces it."""
         rows = df.withColumn("n_nodes", F.lit(len(tree_key.split("-")))).withColumn("tree_key", F.lit(tree_key)).select(*COLUMNS)
         rows.write.partitionBy("n_nodes", "tree_key").option("partitionOverwriteMode", "dynamic").mode("overwrite").parquet(f"{self.path}/support")
+        if not whole:
+            return
         self.spark.createDataFrame([(tree_key, run)], "tree_key string, run string").coalesce(1).write.mode("append").parquet(f"{self.path}/_finished")
 
     def finished(self, run: str | None = None) -> set[str]:

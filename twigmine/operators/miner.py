@@ -11,6 +11,7 @@ import time
 from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
 from functools import reduce
+from itertools import product
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -18,12 +19,14 @@ from pyspark.sql import functions as F
 from ..graph import Graph
 from ..model.pattern import FREE, HIDDEN, PINNED, Pattern, all_marks, pattern_key, pattern_of_key
 from ..model.shape import Levels, shapes, tree_key
-from ..plans.twig import cube_tables, n, support_table
+from ..plans.twig import cube_tables, n, support, support_table
 from ..storage import cut
 from .catalog import COLUMNS, Catalog, Tables, empty, own_order
 
 #: Patterns counted by one job: what bounds the size of its plan.
 PER_JOB = 24
+#: Rows that the grouping sets of one tree may make for the search to choose them.
+MOST_CUBE = 20_000_000
 #: Levels at which pins may only take their parents' values: below, every node is a candidate anyway.
 FIRST_RESTRICTED = 2
 
@@ -53,6 +56,7 @@ class Metrics:
     trees: int = 0
     pruned: dict[str, int] = field(default_factory=lambda: {"parent": 0, "redundant": 0, "copy": 0})
     steps: list[tuple[str, int, float]] = field(default_factory=list)
+    cut_short: bool = False
 
     @property
     def wall_s(self) -> float:
@@ -85,7 +89,7 @@ def candidates(p: Pattern, store: Tables, g: Graph) -> DataFrame:
     """n<i> for every pin: the assignments whose every generalisation is frequent, as the natural join of all parents' tables.
 
     Parents without pins are gates: without a row they empty the result.  A lone first-level pin takes every node.  Two parents
-    that share no pin would pair all their values; the search itself therefore filters by each parent instead (support_table's allowed).
+    that share no pin would pair all their values; the search itself therefore meets every parent's table where its pins come together (support_table's allowed).
     """
     if not p.pins:
         raise ValueError("a pattern without pins has no candidate assignments")
@@ -106,13 +110,16 @@ def candidates(p: Pattern, store: Tables, g: Graph) -> DataFrame:
     return out.select(*[n(i) for i in p.pins]).distinct()
 
 
-def allowed_values(p: Pattern, store: Tables) -> dict[int, DataFrame]:
-    """For each pin, the values it takes in the smallest parent that has it."""
-    out = {}
-    for i in p.pins:
-        parents = [q for q in p.parents() if q.marks[i] == PINNED]
-        if parents:
-            out[i] = store.wide(max(parents, key=lambda q: len(q.pins))).select(n(i)).distinct()
+def allowed_values(parents: Iterable[Pattern], store: Tables) -> dict[tuple[int, ...], DataFrame]:
+    """The candidate assignments of a pattern, as a table of values for each set of pins that one of its stored parents has.
+
+    Only assignments that stand in every one of the tables are counted: their natural join, without ever being made.
+    """
+    out: dict[tuple[int, ...], DataFrame] = {}
+    for q in parents:
+        if q.pins:
+            rows = store.wide(q).drop("freq")
+            out[q.pins] = out[q.pins].join(rows, [n(i) for i in q.pins], "left_semi") if q.pins in out else rows
     return out
 
 
@@ -135,8 +142,8 @@ def level_patterns(levels: Levels, kept: set[str], current: list[Pattern], dedup
     return out
 
 
-def mine_tree(g: Graph, levels: Levels, minsup: int, dedup: str = "full", order: str = "level", strategy: str = "fold", metrics: Metrics | None = None) -> DataFrame:
-    """The support tables of one tree, written level by level.
+def mine_tree(g: Graph, levels: Levels, minsup: int, dedup: str = "full", order: str = "level", strategy: str = "fold", metrics: Metrics | None = None, budget: Budget | None = None) -> DataFrame:
+    """The support tables of one tree, written level by level; a budget that is spent between two levels ends it, and metrics.cut_short says so.
 
     order 'level' runs all patterns with as many hidden and pinned nodes in one job; 'double' runs hidden sets by size outside and
     pinned sets by size inside.  dedup: none, redundancy, canonical or full.  With dedup none or redundancy, copies of a pattern
@@ -146,6 +153,9 @@ def mine_tree(g: Graph, levels: Levels, minsup: int, dedup: str = "full", order:
     out, kept, rows = empty(g.spark, g.node_type), set(), []
     batches: dict[tuple, set[Pattern]] = {(0,): {Pattern(levels, FREE * len(levels))}} if order == "level" else {(0, 0): {Pattern(levels, FREE * len(levels))}}
     while batches:
+        if rows and budget and budget.spent(metrics):
+            metrics.cut_short = True
+            break
         at = min(batches)
         batch = sorted(batches.pop(at), key=lambda p: p.marks)
         # With the double order a parent may have been pruned after its child was put down.
@@ -155,7 +165,7 @@ def mine_tree(g: Graph, levels: Levels, minsup: int, dedup: str = "full", order:
         store = Tables(out)
         parts = []
         for p in batch:
-            allowed = allowed_values(p, store) if p.level >= FIRST_RESTRICTED and len(p.pins) >= 1 else {}
+            allowed = allowed_values((q for q in p.parents() if not (dedup in ("redundancy", "full") and q.has_redundancy())), store) if p.level >= FIRST_RESTRICTED and p.pins else {}
             parts.append(tall(g, p, support_table(g, p, minsup=minsup, strategy=strategy, allowed=allowed)))
         metrics.support_queries += len(batch)
         metrics.jobs += -(-len(parts) // PER_JOB)
@@ -187,19 +197,33 @@ def _later(alive: list[Pattern], dedup: str, metrics: Metrics) -> Iterable[Patte
 
 
 def mine_tree_cube(g: Graph, levels: Levels, minsup: int, metrics: Metrics) -> DataFrame:
-    """One grouping-sets query for each hidden set whose plain support is frequent; redundant and repeated patterns are left out after."""
-    parts = []
-    for marks in sorted({p.marks.replace(PINNED, FREE) for p in all_marks(levels, "none")}):
-        p = Pattern(levels, marks)
+    """One grouping-sets query for each hidden set whose plain support is frequent, of hidden sets that are copies of each other the canonical one.
+
+    A pattern is read off the first marking of its class over such a hidden set, its pins brought into the canonical order.
+    """
+    plain = []
+    for p in (Pattern(levels, "".join(m)) for m in product(FREE + HIDDEN, repeat=len(levels))):
         if p.has_redundancy():
             metrics.pruned["redundant"] += 1
-            continue
-        metrics.support_queries += 1
-        parts.append(cube_tables(g, p, minsup))
-    metrics.jobs += 1
-    wanted = g.spark.createDataFrame([(p.marks, pattern_key(p), p.level) for p in all_marks(levels, "full")], "marks string, pattern_key string, level int")
-    found = reduce(DataFrame.unionByName, parts).join(F.broadcast(wanted), "marks")  # at most 3 ** nodes rows
-    found = found.select(F.lit(len(levels)).alias("n_nodes"), F.lit(tree_key(levels)).alias("tree_key"), "pattern_key", "level", "pins", "freq")
+        elif not p.is_canonical():
+            metrics.pruned["copy"] += 1
+        else:
+            plain.append(p)
+    gates = [support_table(g, p, minsup=minsup).select(F.lit(p.marks).alias("marks")) for p in plain]
+    frequent = {r[0] for r in reduce(DataFrame.union, gates).collect()}
+    metrics.pruned["parent"] += len(plain) - len(frequent)
+    metrics.support_queries += len(plain) + len(frequent)
+    metrics.jobs += 1 + bool(frequent)
+    if not frequent:
+        return empty(g.spark, g.node_type)
+    classes: dict[str, tuple] = {}
+    for p in all_marks(levels, "redundancy"):
+        if p.marks.replace(PINNED, FREE) in frequent:
+            canonical, old = p.canonize()
+            classes.setdefault(canonical.refined(), (p.marks, canonical.refined(), p.level, [p.pins.index(old[i]) for i in canonical.pins]))
+    wanted = g.spark.createDataFrame(list(classes.values()), "marks string, pattern_key string, level int, perm array<int>")
+    found = reduce(DataFrame.unionByName, [cube_tables(g, p, minsup) for p in plain if p.marks in frequent]).join(F.broadcast(wanted), "marks")  # at most 3 ** nodes rows
+    found = found.select(F.lit(len(levels)).alias("n_nodes"), F.lit(tree_key(levels)).alias("tree_key"), "pattern_key", "level", F.expr("transform(perm, i -> pins[i])").alias("pins"), "freq")
     found = cut(found, "cube")
     counts = found.groupBy("pattern_key").count().collect()
     metrics.patterns += sum(r["count"] for r in counts)
@@ -210,8 +234,10 @@ def mine_tree_cube(g: Graph, levels: Levels, minsup: int, metrics: Metrics) -> D
 def mine(g: Graph, minsup: int, max_nodes: int | None = None, dedup: str = "full", order: str = "level", strategy: str = "fold", budget: Budget | None = None, catalog: Catalog | None = None, min_height: int = 0, run: str = "") -> Mined:
     """All patterns of support minsup or more, tree by tree, until the budget is spent.
 
-    strategy: fold or expand (support tables), cube.  With a catalog every finished tree is written there and
-    skipped when the run is taken up again.  order='double' with dedup='none' is the plain double levelwise search.
+    strategy: fold or expand (support tables), cube, or auto: cube where a tree's matches times its grouping sets stay below MOST_CUBE, else fold.
+    With a catalog every finished tree is written there and skipped when the search is taken up again; the catalog must be of this graph, threshold and
+    dedup.  A tree that the budget cuts short is written as far as it came and counted anew the next time.  order='double' with dedup='none' is the
+    plain double levelwise search.
     """
     if minsup < 1:
         raise ValueError("minsup is at least 1")
@@ -220,17 +246,23 @@ def mine(g: Graph, minsup: int, max_nodes: int | None = None, dedup: str = "full
     if max_nodes is None and budget.seconds is None and budget.max_patterns is None and budget.stop is None:
         raise ValueError("the set of frequent patterns may be infinite: give a bound")
     metrics, parts = Metrics(), []
-    finished = catalog.finished(run) if catalog else set()
+    if catalog:
+        catalog.claim(g.identity(), minsup, "full" if strategy in ("cube", "auto") else dedup)
+    finished = catalog.finished() if catalog else set()
     for levels in shapes(max_nodes, min_height):
         if budget.spent(metrics):
             break
         if tree_key(levels) in finished:
             continue
-        found = mine_tree_cube(g, levels, minsup, metrics) if strategy == "cube" else mine_tree(g, levels, minsup, dedup, order, strategy, metrics)
+        how = strategy
+        if strategy == "auto":
+            matches = support(g, Pattern(levels, FREE * len(levels)))
+            how = "cube" if matches * 2 ** len(levels) <= MOST_CUBE else "fold"
+        found = mine_tree_cube(g, levels, minsup, metrics) if how == "cube" else mine_tree(g, levels, minsup, dedup, order, how, metrics, budget)
         metrics.trees += 1
         metrics.steps.append((tree_key(levels), metrics.patterns, metrics.wall_s))
         if catalog:
-            catalog.write(tree_key(levels), found, run)
+            catalog.write(tree_key(levels), found, run, not metrics.cut_short)
         else:
             parts.append(found)
     if catalog:
@@ -244,7 +276,7 @@ def flock(g: Graph, p: Pattern, minsup: int, strategy: str = "fold") -> Mined:
     bare = Pattern(p.levels, p.marks.replace(PINNED, FREE))
     rows, level, kept, allowed_rows = [], [bare], set(), empty(g.spark, g.node_type)
     while level:
-        parts = [tall(g, q, support_table(g, q, minsup=minsup, strategy=strategy, allowed=allowed_values(q, Tables(allowed_rows)) if len(q.pins) > 1 else None)) for q in level]
+        parts = [tall(g, q, support_table(g, q, minsup=minsup, strategy=strategy, allowed=allowed_values((q.marked(i, FREE) for i in q.pins), Tables(allowed_rows)) if len(q.pins) > 1 else None)) for q in level]
         metrics.support_queries += len(level)
         metrics.jobs += 1
         found = reduce(DataFrame.unionByName, parts).dropDuplicates(["pattern_key", "pins"])

@@ -7,9 +7,10 @@ The data graph is not read again.
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 from fractions import Fraction
+from functools import reduce
 from itertools import product
 
 from pyspark.sql import DataFrame
@@ -20,7 +21,9 @@ from ..model.contain import Fold, contains, covers_free, fold_maps, is_fold
 from ..model.pattern import Pattern, pattern_key
 from ..model.query import TreeQuery, pure
 from ..model.ruledup import distinct_folds
+from ..model.shape import Levels, shapes
 from ..plans.twig import n, support_table
+from ..storage import cut
 from .catalog import Tables
 
 RULE_COLUMNS = ["lhs_key", "rhs_key", "head", "rho", "fold", "lhs_pins", "rhs_pins", "freq", "lhs_freq", "conf"]
@@ -120,10 +123,10 @@ def fold_rows(lhs: TreeQuery, folds: list[tuple[Pattern, Fold]]) -> list[tuple]:
     return rows
 
 
-def mine_rules(store: Tables, lhs: TreeQuery, minconf, g: Graph | None = None, dedup: str = "linear", counts: FoldCounts | None = None, patterns: Iterable[Pattern] | None = None) -> DataFrame:
+def mine_rules(store: Tables, lhs: TreeQuery, minconf, g: Graph | None = None, dedup: str = "linear", counts: FoldCounts | None = None, patterns: Iterable[Pattern] | None = None, left: DataFrame | None = None) -> DataFrame:
     """Every rule of the lhs into the stored patterns with confidence minconf at least, all folds in one join.
 
-    minconf: a fraction, exact ('0.3', Fraction(1, 3)).  Counts are compared by integer products.
+    minconf: a fraction, exact ('0.3', Fraction(1, 3)).  Counts are compared by integer products.  left: the lhs table, where it is known.
     """
     c = Fraction(str(minconf))
     if not 0 <= c <= 1:
@@ -134,7 +137,7 @@ def mine_rules(store: Tables, lhs: TreeQuery, minconf, g: Graph | None = None, d
     folds = spark.createDataFrame(rows, "pattern_key string, head array<string>, rho array<int>, fold array<int>")
     folds = F.broadcast(folds) if len(rows) <= MOST_BROADCAST else folds
     right = store.support.select("pattern_key", "pins", "freq").join(folds, "pattern_key").withColumn("lhs_pins", F.expr("transform(rho, i -> pins[i])"))
-    both = right.join(lhs_table(lhs, store, g), "lhs_pins")
+    both = right.join(lhs_table(lhs, store, g) if left is None else left, "lhs_pins")
     exact = F.col("freq").cast("decimal(20,0)") * F.lit(c.denominator).cast("decimal(18,0)") >= F.col("lhs_freq").cast("decimal(20,0)") * F.lit(c.numerator).cast("decimal(18,0)")
     return both.filter(exact).select(F.lit(pattern_key(lhs.body)).alias("lhs_key"), F.col("pattern_key").alias("rhs_key"), "head", "rho", "fold", "lhs_pins", F.col("pins").alias("rhs_pins"), "freq", "lhs_freq", (F.col("freq") / F.col("lhs_freq")).alias("conf"))
 
@@ -146,12 +149,32 @@ def rule_table(store: Tables, lhs: TreeQuery, p: Pattern, f: Fold, minconf, g: G
     return mine_rules(store, lhs, minconf, g, "none", patterns=[p]).filter(F.col("fold") == F.array(*[F.lit(x) for x in f]))
 
 
+def rules_by_tree(g: Graph, lhs: TreeQuery, minsup: int, minconf, max_nodes: int | None = None, dedup: str = "linear", counts: FoldCounts | None = None) -> Iterator[tuple[Levels, DataFrame]]:
+    """Rules as the search goes on: a tree, then the rules into its patterns, before the next tree is looked at.
+
+    Trees lower than the lhs have no fold and are not mined; the lhs is counted on the graph once; nothing is kept between trees but its table.
+    Without max_nodes it goes on until the caller stops.
+    """
+    from .miner import mine_tree
+
+    left = None
+    for levels in shapes(max_nodes, lhs.body.height):
+        found = Tables(mine_tree(g, levels, minsup))
+        if left is None:
+            own = support_table(g, lhs.body)
+            pins = F.array(*[F.col(n(i)) for i in lhs.body.pins]) if lhs.body.pins else F.array()
+            left = cut(own.select(pins.cast(f"array<{found.node_type}>").alias("lhs_pins"), F.col("freq").alias("lhs_freq")), "lhs")
+        yield levels, mine_rules(found, lhs, minconf, dedup=dedup, counts=counts, left=left)
+
+
 def mine_rules_live(g: Graph, lhs: TreeQuery, minsup: int, minconf, max_nodes: int, dedup: str = "linear", counts: FoldCounts | None = None) -> DataFrame:
-    """The same without a database: patterns are mined as the rules are asked for, trees lower than the lhs left out."""
-    from .miner import mine
+    """All rules into trees of up to max_nodes without a database: those of rules_by_tree together."""
+    return reduce(DataFrame.unionByName, [found for _, found in rules_by_tree(g, lhs, minsup, minconf, max_nodes, dedup, counts)])
+
 
-    found = mine(g, minsup, max_nodes, min_height=lhs.body.height)
-    return mine_rules(found.tables, lhs, minconf, g, dedup, counts)
+def count_rules(found: DataFrame) -> DataFrame:
+    """instances, rhs_queries: rules counted by their constants and by the queries on their right side (pattern and fold)."""
+    return found.agg(F.count(F.lit(1)).alias("instances"), F.count_distinct("rhs_key", F.array_join(F.col("fold").cast("array<string>"), ",")).alias("rhs_queries"))
 
 
 def brute_rules(g: Graph, lhs: TreeQuery, patterns: Iterable[Pattern], minsup: int, minconf) -> list[tuple]:

@@ -28,17 +28,32 @@ def n(i: int) -> str:
 
 
 class Edges:
-    """Edge scans for the nodes of a pattern: constants and allowed values go into the scan."""
+    """Edge scans for the nodes of a pattern: constants and allowed values go into the scan.
 
-    def __init__(self, g: Graph, constants: dict | None = None, allowed: dict[int, DataFrame] | None = None):
-        self.g, self.constants, self.allowed = g, constants or {}, allowed or {}
+    allowed: tables of values n<i> for sets of pins (a lone pin may stand for its set).  Rows are held against a table as soon as they have its pins,
+    and before against the values of the pins that they have, where no smaller table has just these.
+    """
+
+    def __init__(self, g: Graph, constants: dict | None = None, allowed: dict | None = None):
+        self.g, self.constants = g, constants or {}
+        self.allowed = {(k,) if isinstance(k, int) else tuple(k): t.toDF(*[n(i) for i in ((k,) if isinstance(k, int) else k)]) for k, t in (allowed or {}).items()}
 
     def restrict(self, df: DataFrame, *nodes: int) -> DataFrame:
         for i in nodes:
             if i in self.constants:
                 df = df.filter(F.col(n(i)) == F.lit(self.constants[i]))
-            elif i in self.allowed:
-                df = df.join(self.allowed[i].toDF(n(i)), n(i), "left_semi")
+        return self.meet(df, nodes)
+
+    def meet(self, df: DataFrame, pins, *before) -> DataFrame:
+        """Rows with these pins whose values every table allows; before: sets of pins that have been held against the tables."""
+        done = set()
+        for k, t in sorted(self.allowed.items(), key=lambda x: (len(x[0]), x[0])):
+            have = tuple(i for i in k if i in pins and i not in self.constants)
+            if not have or have in done or any({*have} <= {*b} for b in before):
+                continue
+            done.add(have)
+            names = [n(i) for i in have]
+            df = df.join(t.select(*names).distinct() if len(have) < len(k) else t, names, "left_semi")
         return df
 
     def edge(self, parent: int, child: int) -> DataFrame:
@@ -115,8 +130,11 @@ class _Fold:
         if df is None:
             return None
         counts = [f"cnt{k}" for k in range(len(self.kids[v]))]
-        pins = [n(x) for c in self.kids[v] for x in self.pins_below(c)]
-        return df.select(n(v), *pins, _product(counts).alias("cnt"))
+        below = [self.pins_below(c) for c in self.kids[v]]
+        own = [v] if self.p.marks[v] == PINNED else []
+        if len(below) > 1:
+            df = self.edges.meet(df, own + sum(below, []), *[own + b for b in below])
+        return df.select(n(v), *[n(x) for b in below for x in b], _product(counts).alias("cnt"))
 
     def seen_from(self, v: int, c: int) -> DataFrame:
         """The branch c as its visible parent v sees it: value of v, pins in the branch, cnt of free assignments in the branch."""

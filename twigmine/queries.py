@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,8 +15,8 @@ from .model.pattern import Pattern, all_marks
 from .model.query import TreeQuery, parse_pattern, pure, to_sql
 from .model.shape import shapes
 from .operators import browse, relops, rules
-from .operators.catalog import Tables, diff
-from .operators.miner import candidates, flock, mine, mine_tree
+from .operators.catalog import Catalog, Tables, diff
+from .operators.miner import Budget, candidates, flock, mine, mine_tree
 from .oracles import edge_sql, rules_sql, tall_sql, with_edges
 from .plans.twig import answer_set, matchings, n, support_table
 from .sources.datagraphs import GRAPHS
@@ -30,8 +32,8 @@ def graph(name: str, spark: SparkSession, sf_dir: str) -> Graph:
 
 
 def kept(name: str, spark: SparkSession, sf_dir: str) -> Graph:
-    """A graph that many queries of one search read."""
-    return graph(name, spark, sf_dir).persisted()
+    """A graph that many queries of one search read: written once, and nothing stays in memory after the query."""
+    return graph(name, spark, sf_dir).stored()
 
 
 def add(name: str, run: Query, sql: str | None = None) -> None:
@@ -86,6 +88,7 @@ add_support("sup_competitor", "supply_chain", "#n(?(#p=p:8, x))")
 add_support("sup_repeated_pin", "key_step_3d", "?(x1(?(#c, x2)), #d)", where="pin1 = pin2")
 add_support("sup_pair", "customer_part", "x1(#a, #b)", minsup=5, prune=True, where="pin1 < pin2")
 add_support("sup_pair_star", "supplier_part", "x1(#a, #b)", minsup=18, prune=True, where="pin1 < pin2")
+add_support("sup_pair_lines", "benchmark_lines", "x1(#a, #b)", minsup=3, prune=True, where="pin1 < pin2")
 add_support("sup_single", "page_links", "x")
 add_support("sup_edge", "page_links", "x(y)")
 add_support("sup_fork", "page_links", "x(y, z)")
@@ -161,8 +164,9 @@ def _level(g: str, level: int, minsup: int) -> tuple[Query, str]:
 
 
 for _k in range(4):
-    add(f"freq_level{_k}_key_step_3d_22", *_level("key_step_3d_22", _k, 10))
-    add(f"freq_level{_k}_page_links", *_level("page_links", _k, 10))
+    # Without a free node a pattern has support 1 where it matches.
+    add(f"freq_level{_k}_key_step_3d_22", *_level("key_step_3d_22", _k, 10 if _k < 3 else 1))
+    add(f"freq_level{_k}_page_links", *_level("page_links", _k, 10 if _k < 3 else 1))
 
 
 def _mined(g: str, minsup: int, size: int, **how) -> tuple[Query, str]:
@@ -190,7 +194,7 @@ add("mine_expand_size3", *_mined("key_step_3d_51", 25, 3, strategy="expand"))
 
 _flock = parse_pattern("#r(#a, ?(z))").pattern
 _flock_all = sorted({p.canonize()[0] for marks in ("ddde", "pdde", "dpde", "ppde") for p in [Pattern(_flock.levels, "".join({"0": marks[0], "1": marks[1]}.get(str(i), _flock.marks[i]) for i in range(4)))]}, key=lambda p: p.marks)
-add("flock_fork", lambda s, d: padded(flock(kept("page_links", s, d), _flock, 5).tables.support, 2, "pattern_key"), with_edges("page_links", tall_sql(_flock_all, 5, 2)))
+add("flock_fork", lambda s, d: padded(flock(kept("site_graph", s, d), _flock, 5).tables.support, 2, "pattern_key"), with_edges("site_graph", tall_sql(_flock_all, 5, 2)))
 
 
 def complete_graph_law(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -228,7 +232,7 @@ add_rule("rule_middle_hub", "embedding_neighbors", "x1(?(x2))", "x1(#c(x2))")
 add_rule("rule_hidden_branch", "purchase_tree", "x1(?(?), x2)", "x1(x2(#c))")
 add_rule("rule_target", "site_graph", "x1(x2(?))", "x1(x2(#c))")
 
-for _g in ("page_links", "nation_trade", "key_step_3d", "customer_part", "embedding_neighbors"):
+for _g in GRAPHS:
     add(f"rule_sparsity_{_g}", lambda s, d, g=_g: conf(sparsity_confidence(graph(g, s, d))), with_edges(_g, "SELECT CAST(sum(c) AS BIGINT) AS freq, CAST(sum(c * c) AS BIGINT) AS lhs_freq, round(CAST(sum(c) AS DOUBLE) / sum(c * c), 6) AS conf FROM (SELECT count(*) AS c FROM edge GROUP BY src) q"))
     add(f"rule_edge_share_{_g}", lambda s, d, g=_g: conf(edge_share(graph(g, s, d))), with_edges(_g, "SELECT dst AS pin1, count(*) AS freq, (SELECT count(*) FROM edge) AS lhs_freq, round(count(*) / CAST((SELECT count(*) FROM edge) AS DOUBLE), 6) AS conf FROM edge GROUP BY dst"))
 add("rule_node_share", lambda s, d: conf(node_share(graph("page_links", s, d))), with_edges("page_links", "SELECT dst AS pin1, count(*) AS freq, (SELECT count(DISTINCT src) FROM edge) AS lhs_freq, round(count(*) / CAST((SELECT count(DISTINCT src) FROM edge) AS DOUBLE), 6) AS conf FROM edge GROUP BY dst"))
@@ -260,6 +264,7 @@ def add_pinned_rule(name: str, g: str, lhs: str, rhs: str, fold: tuple[int, ...]
 
 add_pinned_rule("rule_pair", "embedding_neighbors", "x1(x2(#a))", "x1(x2(#a, #b))", (0, 1, 2), 20, "1/2")
 add_pinned_rule("rule_pair_star", "supplier_part", "x1(#a)", "x1(#a, #b)", (0, 1), 18, "3/5", prune=1)
+add_pinned_rule("rule_pair_citations", "customer_part", "x1(#a)", "x1(#a, #b)", (0, 1), 5, "1/5", prune=1)
 
 RULE_LHS = TreeQuery((0, 2), parse_pattern("x(#a, z)").pattern)
 RULE_FOLDS = rules.folds_into(RULE_LHS, [p for t in shapes(3) for p in all_marks(t, "full")])
@@ -272,6 +277,38 @@ def rules_all_fork(spark: SparkSession, sf_dir: str, graph_name: str = "key_step
     return conf(found.select(F.col("rhs_key"), fold.alias("fold"), F.col("lhs_pins")[0].alias("lhs_pin1"), *[F.get("rhs_pins", F.lit(k)).alias(f"pin{k + 1}") for k in range(3)], "freq", "lhs_freq"))
 
 
+def rule_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rules of the fork at two confidences, counted by instances and by queries on the right side."""
+    g = kept("key_step_3d_22", spark, sf_dir)
+    tables = mine(g, 10, 3).tables
+    return reduce(DataFrame.unionByName, [rules.count_rules(rules.mine_rules(tables, RULE_LHS, c, g)).select(F.lit(c).alias("minconf"), "instances", "rhs_queries") for c in ("0.2", "0.5")])
+
+
+add("rule_counts", rule_counts, with_edges("key_step_3d_22", " UNION ALL ".join(f"SELECT '{c}' AS minconf, count(*) AS instances, count(DISTINCT rhs_key || '/' || fold) AS rhs_queries FROM ({rules_sql(RULE_LHS, RULE_FOLDS, 10, int(c[2:]), 10, 3)}) r{c[2:]}" for c in ("0.2", "0.5"))))
+
+
+def rules_live_fork(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same rules, each tree's as soon as the tree is mined."""
+    found = rules.mine_rules_live(kept("key_step_3d_22", spark, sf_dir), RULE_LHS, 10, "0.3", 3)
+    fold = F.concat_ws(",", F.col("fold").cast("array<string>"))
+    return conf(found.select(F.col("rhs_key"), fold.alias("fold"), F.col("lhs_pins")[0].alias("lhs_pin1"), *[F.get("rhs_pins", F.lit(k)).alias(f"pin{k + 1}") for k in range(3)], "freq", "lhs_freq"))
+
+
+add("rules_live_fork", rules_live_fork, with_edges("key_step_3d_22", rules_sql(RULE_LHS, RULE_FOLDS, 10, 3, 10, 3)))
+
+
+def mine_resume(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A search with a catalog, ended inside the trees of three nodes and taken up again."""
+    from .storage import shared_folder
+
+    g = kept("page_links", spark, sf_dir)
+    catalog = Catalog(spark, f"{shared_folder(spark)}/catalog-{uuid.uuid4().hex}")
+    mine(g, 5, budget=Budget(max_nodes=3, max_patterns=300), catalog=catalog)
+    return padded(mine(g, 5, 3, catalog=catalog).tables.support, 3, "pattern_key")
+
+
+add("mine_resume", mine_resume, with_edges("page_links", tall_sql([p for t in shapes(3) for p in all_marks(t, "full")], 5, 3)))
+
 add("rules_all_fork", rules_all_fork, with_edges("key_step_3d_22", rules_sql(RULE_LHS, RULE_FOLDS, 10, 3, 10, 3)))
 
 

@@ -69,13 +69,24 @@ def rule_times(spark: SparkSession, sf_dir: str, minconfs=("0.2", "0.5"), max_no
         lhs = TreeQuery(p.free, p)
         for c in minconfs:
             began, counts = time.perf_counter(), rules.FoldCounts()
-            n = rules.mine_rules(store, lhs, c, g, counts=counts).count()
+            n, queries = rules.count_rules(rules.mine_rules(store, lhs, c, g, counts=counts)).first()
             took = time.perf_counter() - began
-            out.append({"lhs": text, "minconf": c, "rules": n, "seconds": round(took, 3), "folds_made": counts.made, "folds_legal": counts.legal, "folds_kept": counts.kept})
+            out.append({"lhs": text, "minconf": c, "rules": n, "rhs_queries": queries, "seconds": round(took, 3), "folds_made": counts.made, "folds_legal": counts.legal, "folds_kept": counts.kept})
     g.release()
+    for c in minconfs:
+        own = [r for r in out if r["minconf"] == c and "seconds" in r]
+        out.append({"minconf": c, "seconds_per_rule": slope([(r["rules"], r["seconds"]) for r in own]), "seconds_per_rhs_query": slope([(r["rhs_queries"], r["seconds"]) for r in own])})
     return out
 
 
+def slope(points: list[tuple[float, float]]) -> float | None:
+    """Least-squares slope of the second values over the first."""
+    k = len(points)
+    mx, my = (sum(p[i] for p in points) / max(k, 1) for i in (0, 1))
+    spread = sum((x - mx) ** 2 for x, _ in points)
+    return sum((x - mx) * (y - my) for x, y in points) / spread if spread else None
+
+
 def slow_queries(spark: SparkSession, sf_dir: str, seconds: float = 120) -> list[dict]:
     """Patterns of four to six nodes on a dense cyclic graph, by the plain join and by the fold; the join is left out where its size forbids it."""
     g = GRAPHS["key_step_30d"](spark, sf_dir).persisted()
