@@ -255,6 +255,9 @@ def test_archives(spark, tmp_path, sf):
     assert sorted((r.type, bytes(r.payload)) for r in files) == sorted((t, h if t == "response" else b"") for _, h, t, _ in want)
     made = {bytes(r.record) for r in warc.record_bytes(back).collect()}
     assert {r.header.encode() + bytes(r.payload) + b"\r\n\r\n" for r in files} == made
+    warc.archive(pages, str(tmp_path / "p"))
+    assert sorted(((r.page_id, bytes(r.payload), r.record_type, r.refers_to) for r in warc.read_archive(spark, str(tmp_path / "p")).collect()), key=str) == want
+    assert spark.read.parquet(str(tmp_path / "p/payloads")).count() == 4
     empty = spark.createDataFrame([], "page_id bigint, url string, html string")
     warc.write_archive(warc.records_of(empty), str(tmp_path / "e"))
     assert warc.read_archive(spark, str(tmp_path / "e")).count() == 0

@@ -27,11 +27,16 @@ _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh path in the folder that driver and executors share (spark.checkpoint.dir; a local one where unset)."""
+    """A fresh path in the folder that driver and executors share: spark.checkpoint.dir.
+
+    Where it is unset, a temporary folder serves if the session runs on this machine alone (tests); on a cluster that is an error.
+    """
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         root = spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = tempfile.mkdtemp(prefix="twigmine-")
         spark.sparkContext.setCheckpointDir(root)
     return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"

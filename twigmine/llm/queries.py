@@ -43,7 +43,7 @@ def op4_licence_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = scratch(spark, "warc")
-    warc.write_archive(warc.records_of(table(spark, sf_dir, "pages")), path)
+    warc.archive(table(spark, sf_dir, "pages"), path)
     back = warc.read_archive(spark, path)
     return back.select("page_id", F.octet_length("payload").cast("long").alias("payload_bytes"), F.sha1("payload").alias("payload_digest"), warc.header_field("WARC-Type").alias("record_type"), F.col("refers_to"))
 

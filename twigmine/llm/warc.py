@@ -12,6 +12,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import whole_numbers
+
 #: Payloads at least this long are stored as one response and revisits.
 REVISIT_FROM = 1000
 DATE = "2024-01-01T00:00:00Z"
@@ -26,12 +28,12 @@ def records_of(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
     Rows with a null id revisit like others and are responses only if all equal ones have no id.
     """
     p = pages.select(F.col(id_col).cast("long").alias("page_id"), F.coalesce(F.col(url_col).cast("string"), F.lit("")).alias("url"), F.encode(F.coalesce(F.col(html_col).cast("string"), F.lit("")), "UTF-8").alias("payload"))
-    p = p.withColumn("payload_bytes", F.octet_length("payload").cast("long")).withColumn("sha256", F.sha2("payload", 256))
+    # Digests come before the join, so that headers need no payload in it.
+    p = p.withColumns({"payload_bytes": F.octet_length("payload").cast("long"), "sha256": F.sha2("payload", 256), "sha1": F.sha1("payload")})
     groups = p.filter(f"payload_bytes >= {REVISIT_FROM}").groupBy("sha256").agg(F.max("page_id").alias("response_id"), F.count(F.lit(1)).alias("c")).filter("c > 1").drop("c")
     p = p.join(groups, "sha256", "left")
     revisit = F.col("response_id").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("response_id"))
     p = p.withColumn("record_type", F.when(revisit, "revisit").otherwise("response")).withColumn("refers_to", F.when(revisit, F.col("response_id")))
-    p = p.withColumn("sha1", F.sha1("payload"))
     uid = lambda c: F.concat(F.lit("<urn:uuid:"), F.regexp_replace(F.md5(F.coalesce(c.cast("string"), F.lit(""))), "^(.{8})(.{4})(.{4})(.{4})(.{12})$", "$1-$2-$3-$4-$5"), F.lit(">"))
     line = lambda name, value: F.concat(F.lit(name + ": "), value, F.lit(END))
     blank = F.lit("")
@@ -44,10 +46,22 @@ def records_of(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
     return p.withColumn("header", header)
 
 
+def archive(pages: DataFrame, path: str, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", date: str = DATE) -> None:
+    """Write the two tables for a table of pages.  Headers are made and joined without payloads; every different payload is moved once, by its digest.
+
+    Null pages are empty payloads, repeated rows are repeated records, and an empty table makes an empty archive.
+    """
+    whole_numbers(pages, id_col)
+    headers = records_of(pages, id_col, url_col, html_col, date).select("page_id", "header", "sha256", "refers_to", "record_type")
+    headers.write.parquet(f"{path}/headers")
+    payload = pages.select(F.encode(F.coalesce(F.col(html_col).cast("string"), F.lit("")), "UTF-8").alias("payload"))
+    payload.select(F.sha2("payload", 256).alias("sha256"), "payload").groupBy("sha256").agg(F.first("payload").alias("payload")).write.parquet(f"{path}/payloads")
+
+
 def write_archive(records: DataFrame, path: str) -> None:
-    """Write the two tables.  Only responses bring their payload; equal short ones bring it once."""
+    """Write the two tables for records that are made already; each payload is stored once.  Records with equal payloads must share their digest."""
     records.select("page_id", "header", "sha256", "refers_to", "record_type").write.parquet(f"{path}/headers")
-    records.filter("record_type = 'response'").groupBy("sha256").agg(F.first("payload").alias("payload")).write.parquet(f"{path}/payloads")
+    records.groupBy("sha256").agg(F.first("payload").alias("payload")).write.parquet(f"{path}/payloads")
 
 
 def read_archive(spark: SparkSession, path: str) -> DataFrame:
@@ -65,7 +79,7 @@ def read_archive(spark: SparkSession, path: str) -> DataFrame:
 
 
 def record_bytes(rebuilt: DataFrame) -> DataFrame:
-    """The records as they stand in a WARC file: page_id, record."""
+    """The records as they stand in a WARC file: page_id, record; one row per row, revisits without payload, null ids kept."""
     body = F.when(F.col("record_type") == "response", F.col("payload")).otherwise(F.lit(b""))
     return rebuilt.select("page_id", F.concat(F.encode("header", "UTF-8"), body, F.lit((END * 2).encode())).alias("record"))
 
@@ -83,7 +97,7 @@ def write_warc_files(records: DataFrame, path: str) -> None:
 
 
 def read_warc_files(spark: SparkSession, path: str) -> DataFrame:
-    """Records of gzipped or plain WARC files: type, uri, digest, header, payload.  Files are read whole, one at a time."""
+    """Records of gzipped or plain WARC files: type, uri, digest, header, payload.  Files are read whole, one at a time; empty ones have no records."""
 
     def parse(batches):
         import gzip
