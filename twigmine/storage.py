@@ -9,9 +9,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or the checkpoint folder set on the context; a temporary one where neither is set (tests)."""
+    """spark.checkpoint.dir, or the checkpoint folder set on the context.
+
+    Where neither is set, a temporary one serves if the session runs on this machine alone (tests); on a cluster that is an error.
+    """
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = tempfile.mkdtemp(prefix="twigmine-")
         spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")
