@@ -421,6 +421,8 @@ def test_bounds_of_word_counts():
         close = near.edit_distances([(texts[a], texts[b]) for a, b in all_pairs], [near.similarity_at_least(texts[a], texts[b], 0.8) for a, b in all_pairs])
         links = {p for p, d in zip(all_pairs, close, strict=True) if d >= 0}
         assert links <= got <= set(all_pairs) and len(got) < len(links) + 0.1 * len(all_pairs)
+        few = list(zip(*near.count_pairs(n, part, own, bins, 0.8, 1), strict=True))
+        assert {(min(p), max(p)) for p in few} <= got and len(few) == len({a for a, _ in few}) == len({a for a, _ in zip(*near.count_pairs(n, part, own, bins, 0.8), strict=True)})
 
 
 def test_bucket_of_unlike_texts(spark):

@@ -8,6 +8,8 @@ share k-mers in the same order.  Short texts have exact keys besides.  Texts tha
 
 from __future__ import annotations
 
+from functools import partial
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -21,6 +23,8 @@ K, PICKS, SKETCHES, SIMILARITY = 3, 2, 40, 0.8
 TINY, SHORT = 9, 19
 #: Members of a bucket that all others meet in the second round; members that one task of the third compares with as many.
 LEADERS, BLOCK = 4, 4096
+#: Members that each one meets in the rounds before the last.
+NEAREST = 4
 #: Places of a text's word counts: the power of two from its number of words on, between these.
 FEWEST_BINS, MOST_BINS = 64, 4096
 #: Diagonals of the first band to either side; texts aligned by whole columns; bits of a band above which words are looked up row by row.
@@ -270,14 +274,15 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 def linked(rows: DataFrame, shared: DataFrame, least: float) -> DataFrame:
     """node, component of the representatives of shared (key, rep, n, leader, c) that are linked to another one.
 
-    First every member of a bucket of c meets its leader.  Then members of buckets that hold several classes meet LEADERS drawn ones, and at last all
-    those that are not in their class, block by block of the bucket, where only pairs go on that pass the bounds of length and of word
-    counts.  So a bucket of like texts ends early, one of unlike texts that have a passage in common makes few pairs, and no pair that can be a new link is left out.
+    First every member of a bucket of c meets its leader.  Then members of buckets that hold several classes meet LEADERS drawn ones, then, block
+    by block of the bucket, those NEAREST to them by word counts, twice, and at last all those that are not in their class; in blocks only pairs go on that
+    pass the bounds of length and of word counts.  So a bucket of like texts ends early, one of unlike texts that have a passage in common makes few pairs,
+    texts about as alike as the threshold are one class before all their pairs are due, and no pair that can be a new link is left out.
     """
     words = words_of(rows, shared.select(F.col("rep").alias("id")).distinct())
     tested = store(shared.filter("rep <> leader").select("rep", "leader").distinct(), "near-pairs")
     of = components(store(pairs_verified(words, tested, least), "near-links"))
-    for meet in (drawn_pairs, block_pairs):
+    for meet in (drawn_pairs, partial(block_pairs, nearest=NEAREST), partial(block_pairs, nearest=NEAREST), block_pairs):
         # Buckets of two have had their only pair.
         rest = shared.filter("c > 2").join(of, F.col("rep") == F.col("node"), "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("part"))
         mixed = store(rest.groupBy("key").agg(F.min("part").alias("low"), F.max("part").alias("high"), F.count(F.lit(1)).alias("c")).filter("low <> high").select("key", "c"), "near-mixed")
@@ -310,8 +315,8 @@ def drawn_pairs(rest: DataFrame, words: DataFrame, least: float) -> DataFrame:
     return met.filter(F.least("n", "m") >= least * F.greatest("n", "m") - 1e-6).select("rep", "head")
 
 
-def block_pairs(rest: DataFrame, words: DataFrame, least: float) -> DataFrame:
-    """rep, head: all pairs of members of a bucket that are in different classes and pass the bounds.
+def block_pairs(rest: DataFrame, words: DataFrame, least: float, nearest: int | None = None) -> DataFrame:
+    """rep, head: all pairs of members of a bucket that are in different classes and pass the bounds; with nearest, so many of each member's with the closest word counts.
 
     A bucket is dealt into blocks of about BLOCK members by a hash; two blocks, or one with itself, meet in one place, where a group holds no more
     than two blocks.  Members are compared by counts of their words in hashed places: what one has more of is no more than the distance.
@@ -339,7 +344,7 @@ def block_pairs(rest: DataFrame, words: DataFrame, least: float) -> DataFrame:
     def met(group):
         rep, n, part, own = (group.column(c).to_numpy() for c in ("rep", "n", "part", "own"))
         bins = [np.frombuffer(b, np.uint8) for b in group.column("bins").to_pylist()]
-        first, second = count_pairs(n, part, own, bins, least)
+        first, second = count_pairs(n, part, own, bins, least, nearest)
         for at in range(0, len(first), 50_000):
             yield pa.RecordBatch.from_arrays([pa.array(rep[first[at : at + 50_000]]), pa.array(rep[second[at : at + 50_000]])], ["rep", "head"])
 
@@ -347,8 +352,11 @@ def block_pairs(rest: DataFrame, words: DataFrame, least: float) -> DataFrame:
     return placed.mapInArrow(meet, "rep bigint, head bigint")
 
 
-def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.ndarray], least: float) -> tuple[np.ndarray, np.ndarray]:
-    """Places of the pairs in different parts, of different blocks where there are two, whose lengths and word counts allow the similarity."""
+def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.ndarray], least: float, nearest: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the pairs in different parts, of different blocks where there are two, whose lengths and word counts allow the similarity.
+
+    With nearest, at most so many of those in which a member is the shorter one.
+    """
     order = np.argsort(n, kind="stable")
     two = own.min() != own.max()
     sizes = np.array([len(bins[i]) for i in order])
@@ -366,7 +374,11 @@ def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.
             near = near[(classes[near] != classes[i]) & ((block[near] != block[i]) if two else True)]
             if len(near):
                 common = np.minimum(table[near], table[i]).sum(axis=1, dtype=np.uint32)
-                ok = near[np.maximum(total[near], total[i]) - common <= np.floor((1 - least) * length[near] + 1e-9)]
+                apart = np.maximum(total[near], total[i]) - common
+                fits = apart <= np.floor((1 - least) * length[near] + 1e-9)
+                ok = near[fits]
+                if nearest and len(ok) > nearest:
+                    ok = ok[np.argsort(apart[fits] / length[ok], kind="stable")[:nearest]]
                 found[0].append(np.full(len(ok), place[i]))
                 found[1].append(place[ok])
     return tuple(np.concatenate(f).astype(np.int64) if f else np.zeros(0, np.int64) for f in found)
