@@ -282,17 +282,22 @@ def linked(rows: DataFrame, shared: DataFrame, least: float) -> DataFrame:
     words = words_of(rows, shared.select(F.col("rep").alias("id")).distinct())
     tested = store(shared.filter("rep <> leader").select("rep", "leader").distinct(), "near-pairs")
     of = components(store(pairs_verified(words, tested, least), "near-links"))
+    again = None
     for meet in (drawn_pairs, partial(block_pairs, nearest=NEAREST), partial(block_pairs, nearest=NEAREST), block_pairs):
-        # Buckets of two have had their only pair.
-        rest = shared.filter("c > 2").join(of, F.col("rep") == F.col("node"), "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("part"))
+        # Buckets of two have had their only pair, and after a round of the nearest those that had no more are done.
+        rest = shared.filter("c > 2") if again is None else shared.join(again, "key", "left_semi")
+        rest = rest.join(of, F.col("rep") == F.col("node"), "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("part"))
         mixed = store(rest.groupBy("key").agg(F.min("part").alias("low"), F.max("part").alias("high"), F.count(F.lit(1)).alias("c")).filter("low <> high").select("key", "c"), "near-mixed")
         rest = store(rest.join(mixed, "key"), "near-open")
         if rest.isEmpty():
             break
-        pairs = meet(rest, words, least).select(F.least("rep", "head").alias("rep"), F.greatest("rep", "head").alias("leader")).distinct()
+        met = store(meet(rest, words, least), "near-met")
+        pairs = met.select(F.least("rep", "head").alias("rep"), F.greatest("rep", "head").alias("leader")).distinct()
         pairs = store(pairs.join(tested.select(F.least("rep", "leader").alias("rep"), F.greatest("rep", "leader").alias("leader")), ["rep", "leader"], "left_anti"), "near-pairs")
         tested = tested.union(pairs)
         of = merged(of, store(pairs_verified(words, pairs, least), "near-links"))
+        if meet is not drawn_pairs:
+            again = store(met.filter("more").select("key").distinct(), "near-more")
         release(rows.sparkSession, rest)
     return of
 
@@ -308,23 +313,26 @@ def merged(of: DataFrame, links: DataFrame) -> DataFrame:
 
 
 def drawn_pairs(rest: DataFrame, words: DataFrame, least: float) -> DataFrame:
-    """rep, head: every open member with LEADERS members of its bucket, drawn by a hash, where the lengths allow the similarity."""
+    """rep, head: every open member with LEADERS members of its bucket, drawn by a hash, where the lengths allow the similarity (key, more: as in block_pairs)."""
     drawn = rest.groupBy("key").agg(*[F.max(F.struct(F.xxhash64("rep", F.lit(k)), F.col("rep").alias("head"), F.col("n").alias("m"), F.col("part").alias("head_part"))).alias(f"h{k}") for k in range(LEADERS)])
     heads = store(drawn.select("key", F.explode(F.array_distinct(F.array(*[F.struct(f"h{k}.head", f"h{k}.m", f"h{k}.head_part") for k in range(LEADERS)]))).alias("h")).select("key", "h.*"), "near-heads")
     met = rest.join(heads, "key").filter("part <> head_part")
-    return met.filter(F.least("n", "m") >= least * F.greatest("n", "m") - 1e-6).select("rep", "head")
+    return met.filter(F.least("n", "m") >= least * F.greatest("n", "m") - 1e-6).select("key", "rep", "head", F.lit(True).alias("more"))
 
 
 def block_pairs(rest: DataFrame, words: DataFrame, least: float, nearest: int | None = None) -> DataFrame:
-    """rep, head: all pairs of members of a bucket that are in different classes and pass the bounds; with nearest, so many of each member's with the closest word counts.
+    """key, rep, head, more: all pairs of members of a bucket that are in different classes and pass the bounds; with nearest, so many of each member's with the closest word counts.
+
+    more: this member has further ones.  A bucket without such a member has given all its pairs.
 
     A bucket is dealt into blocks of about BLOCK members by a hash; two blocks, or one with itself, meet in one place, where a group holds no more
     than two blocks.  Members are compared by counts of their words in hashed places: what one has more of is no more than the distance.
     """
     blocks = F.ceil(F.col("c") / BLOCK).cast("int")
     own = F.pmod(F.hash("rep", F.lit("block")), blocks)
-    dealt = rest.withColumns({"own": own, "other": F.explode(F.sequence(F.lit(0), blocks - 1))})
-    dealt = dealt.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "rep", "n", "part")
+    one = rest.filter(blocks == 1).select("key", *[F.lit(0).alias(c) for c in ("lo", "hi", "own")], "rep", "n", "part")
+    several = rest.filter(blocks > 1).withColumns({"own": own, "other": F.explode(F.sequence(F.lit(0), blocks - 1))})
+    dealt = one.union(several.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "rep", "n", "part"))
     filled = dealt.join(words.select(F.col("id").alias("rep"), "bins"), "rep")
     names = ["key", "lo", "hi", "own", "rep", "n", "part", "bins"]
 
@@ -344,23 +352,24 @@ def block_pairs(rest: DataFrame, words: DataFrame, least: float, nearest: int |
     def met(group):
         rep, n, part, own = (group.column(c).to_numpy() for c in ("rep", "n", "part", "own"))
         bins = [np.frombuffer(b, np.uint8) for b in group.column("bins").to_pylist()]
-        first, second = count_pairs(n, part, own, bins, least, nearest)
+        first, second, more = count_pairs(n, part, own, bins, least, nearest)
         for at in range(0, len(first), 50_000):
-            yield pa.RecordBatch.from_arrays([pa.array(rep[first[at : at + 50_000]]), pa.array(rep[second[at : at + 50_000]])], ["rep", "head"])
+            some = slice(at, at + 50_000)
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(first[some]), group.column("key")[0].as_py())), pa.array(rep[first[some]]), pa.array(rep[second[some]]), pa.array(more[some])], ["key", "rep", "head", "more"])
 
     placed = filled.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi")
-    return placed.mapInArrow(meet, "rep bigint, head bigint")
+    return placed.mapInArrow(meet, "key bigint, rep bigint, head bigint, more boolean")
 
 
-def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.ndarray], least: float, nearest: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.ndarray], least: float, nearest: int | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Places of the pairs in different parts, of different blocks where there are two, whose lengths and word counts allow the similarity.
 
-    With nearest, at most so many of those in which a member is the shorter one.
+    With nearest, at most so many of those in which a member is the shorter one, and whether it has more of them.
     """
     order = np.argsort(n, kind="stable")
     two = own.min() != own.max()
     sizes = np.array([len(bins[i]) for i in order])
-    found = ([], [])
+    found: tuple[list, list, list] = ([], [], [])
     # Of two texts the longer has as many places as the shorter, or more; it is folded to the shorter one's.
     for size in np.unique(sizes):
         reach = np.flatnonzero(sizes >= size)
@@ -377,11 +386,13 @@ def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.
                 apart = np.maximum(total[near], total[i]) - common
                 fits = apart <= np.floor((1 - least) * length[near] + 1e-9)
                 ok = near[fits]
-                if nearest and len(ok) > nearest:
+                more = bool(nearest) and len(ok) > nearest
+                if more:
                     ok = ok[np.argsort(apart[fits] / length[ok], kind="stable")[:nearest]]
                 found[0].append(np.full(len(ok), place[i]))
                 found[1].append(place[ok])
-    return tuple(np.concatenate(f).astype(np.int64) if f else np.zeros(0, np.int64) for f in found)
+                found[2].append(np.full(len(ok), more))
+    return tuple(np.concatenate(f).astype(kind) if f else np.zeros(0, kind) for f, kind in zip(found, (np.int64, np.int64, bool), strict=True))
 
 
 def word_bins(words: np.ndarray) -> bytes:
