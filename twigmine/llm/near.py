@@ -8,8 +8,6 @@ share k-mers in the same order.  Short texts have exact keys besides.  Texts tha
 
 from __future__ import annotations
 
-from functools import partial
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -21,8 +19,8 @@ from .components import components
 K, PICKS, SKETCHES, SIMILARITY = 3, 2, 40, 0.8
 #: Texts of up to TINY words share a key whenever they are one edit apart; those of up to SHORT words, whenever they share a run of K words.
 TINY, SHORT = 9, 19
-#: Members of a bucket that all others meet in the second round; members that one task of the third compares with as many.
-LEADERS, BLOCK = 4, 4096
+#: Members of a bucket that one task compares with as many.
+BLOCK = 4096
 #: Members that each one meets in the rounds before the last.
 NEAREST = 4
 #: Places of a text's word counts: the power of two from its number of words on, between these.
@@ -264,7 +262,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     same = store(same, "near-classes")
     single = F.expr("transform(sketches, (x, i) -> xxhash64(x, i))")
     keys = same.filter("n > 0 and rep is not null").select("rep", "n", F.explode(F.concat(single, F.coalesce("short", F.array().cast("array<bigint>")))).alias("key"))
-    leaders = keys.groupBy("key").agg(F.max("rep").alias("leader"), F.count(F.lit(1)).alias("c")).filter("c > 1")
+    leaders = keys.groupBy("key").agg(F.max(F.struct("rep", "n")).alias("l"), F.count(F.lit(1)).alias("c")).filter("c > 1").select("key", F.col("l.rep").alias("leader"), F.col("l.n").alias("leader_n"), "c")
     of = linked(rows, store(keys.join(leaders, "key"), "near-keys"), least)
     joined = sketched.join(same.select("sig1", "sig2", "rep"), ["sig1", "sig2"]).join(of, F.col("rep") == F.col("node"), "left")
     class_id = F.coalesce("component", "rep")
@@ -272,18 +270,18 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def linked(rows: DataFrame, shared: DataFrame, least: float) -> DataFrame:
-    """node, component of the representatives of shared (key, rep, n, leader, c) that are linked to another one.
+    """node, component of the representatives of shared (key, rep, n, leader, leader_n, c) that are linked to another one.
 
-    First every member of a bucket of c meets its leader.  Then members of buckets that hold several classes meet LEADERS drawn ones, then, block
+    First every member of a bucket of c meets its leader.  Then members of buckets that hold several classes meet, block
     by block of the bucket, those NEAREST to them by word counts, twice, and at last all those that are not in their class; in blocks only pairs go on that
     pass the bounds of length and of word counts.  So a bucket of like texts ends early, one of unlike texts that have a passage in common makes few pairs,
     texts about as alike as the threshold are one class before all their pairs are due, and no pair that can be a new link is left out.
     """
     words = words_of(rows, shared.select(F.col("rep").alias("id")).distinct())
-    tested = store(shared.filter("rep <> leader").select("rep", "leader").distinct(), "near-pairs")
+    tested = store(shared.filter((F.col("rep") != F.col("leader")) & (F.least("n", "leader_n") >= least * F.greatest("n", "leader_n") - 1e-6)).select("rep", "leader").distinct(), "near-pairs")
     of = components(store(pairs_verified(words, tested, least), "near-links"))
     again = None
-    for meet in (drawn_pairs, partial(block_pairs, nearest=NEAREST), partial(block_pairs, nearest=NEAREST), block_pairs):
+    for nearest in (NEAREST, NEAREST, None):
         # Buckets of two have had their only pair, and after a round of the nearest those that had no more are done.
         rest = shared.filter("c > 2") if again is None else shared.join(again, "key", "left_semi")
         rest = rest.join(of, F.col("rep") == F.col("node"), "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("part"))
@@ -291,13 +289,12 @@ def linked(rows: DataFrame, shared: DataFrame, least: float) -> DataFrame:
         rest = store(rest.join(mixed, "key"), "near-open")
         if rest.isEmpty():
             break
-        met = store(meet(rest, words, least), "near-met")
+        met = store(block_pairs(rest, words, least, nearest), "near-met")
         pairs = met.select(F.least("rep", "head").alias("rep"), F.greatest("rep", "head").alias("leader")).distinct()
         pairs = store(pairs.join(tested.select(F.least("rep", "leader").alias("rep"), F.greatest("rep", "leader").alias("leader")), ["rep", "leader"], "left_anti"), "near-pairs")
         tested = tested.union(pairs)
         of = merged(of, store(pairs_verified(words, pairs, least), "near-links"))
-        if meet is not drawn_pairs:
-            again = store(met.filter("more").select("key").distinct(), "near-more")
+        again = store(met.filter("more").select("key").distinct(), "near-more")
         release(rows.sparkSession, rest)
     return of
 
@@ -312,14 +309,6 @@ def merged(of: DataFrame, links: DataFrame) -> DataFrame:
     return store(known.union(joined.join(of, "node", "left_anti")), "near-classes")
 
 
-def drawn_pairs(rest: DataFrame, words: DataFrame, least: float) -> DataFrame:
-    """rep, head: every open member with LEADERS members of its bucket, drawn by a hash, where the lengths allow the similarity (key, more: as in block_pairs)."""
-    drawn = rest.groupBy("key").agg(*[F.max(F.struct(F.xxhash64("rep", F.lit(k)), F.col("rep").alias("head"), F.col("n").alias("m"), F.col("part").alias("head_part"))).alias(f"h{k}") for k in range(LEADERS)])
-    heads = store(drawn.select("key", F.explode(F.array_distinct(F.array(*[F.struct(f"h{k}.head", f"h{k}.m", f"h{k}.head_part") for k in range(LEADERS)]))).alias("h")).select("key", "h.*"), "near-heads")
-    met = rest.join(heads, "key").filter("part <> head_part")
-    return met.filter(F.least("n", "m") >= least * F.greatest("n", "m") - 1e-6).select("key", "rep", "head", F.lit(True).alias("more"))
-
-
 def block_pairs(rest: DataFrame, words: DataFrame, least: float, nearest: int | None = None) -> DataFrame:
     """key, rep, head, more: all pairs of members of a bucket that are in different classes and pass the bounds; with nearest, so many of each member's with the closest word counts.
 
