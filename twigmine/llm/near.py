@@ -317,12 +317,12 @@ def block_pairs(rest: DataFrame, words: DataFrame, least: float, nearest: int |
     A bucket is dealt into blocks of about BLOCK members by a hash; two blocks, or one with itself, meet in one place, where a group holds no more
     than two blocks.  Members are compared by counts of their words in hashed places: what one has more of is no more than the distance.
     """
-    blocks = F.ceil(F.col("c") / BLOCK).cast("int")
-    own = F.pmod(F.hash("rep", F.lit("block")), blocks)
-    one = rest.filter(blocks == 1).select("key", *[F.lit(0).alias(c) for c in ("lo", "hi", "own")], "rep", "n", "part")
-    several = rest.filter(blocks > 1).withColumns({"own": own, "other": F.explode(F.sequence(F.lit(0), blocks - 1))})
-    dealt = one.union(several.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "rep", "n", "part"))
-    filled = dealt.join(words.select(F.col("id").alias("rep"), "bins"), "rep")
+    # Counts are joined once for each member, whose buckets are as many as it has keys.
+    members = rest.groupBy("rep").agg(F.first("n").alias("n"), F.first("part").alias("part"), F.collect_list(F.struct("key", F.ceil(F.col("c") / BLOCK).cast("int").alias("blocks"))).alias("keys"))
+    filled = members.join(words.select(F.col("id").alias("rep"), "bins"), "rep").withColumn("drawn", F.hash("rep", F.lit("block")))
+    meetings = F.expr("flatten(transform(keys, k -> transform(sequence(0, k.blocks - 1), o -> struct(k.key as key, pmod(drawn, k.blocks) as own, o as other))))")
+    dealt = filled.select("rep", "n", "part", "bins", F.explode(meetings).alias("m"))
+    filled = dealt.select("m.key", F.least("m.own", "m.other").alias("lo"), F.greatest("m.own", "m.other").alias("hi"), "m.own", "rep", "n", "part", "bins")
     names = ["key", "lo", "hi", "own", "rep", "n", "part", "bins"]
 
     def meet(batches):
