@@ -425,6 +425,19 @@ def test_bounds_of_word_counts():
         few = list(zip(*near.count_pairs(n, part, own, bins, 0.8, 1), strict=True))
         assert {(min(a, b), max(a, b)) for a, b, _ in few} <= got and {a: more for a, _, more in few} == {a: c > 1 for a, c in every.items()}
 
+    # Members of several buckets: every pair that any of them gives comes once, from the bucket with its lowest key.
+    own, keys = np.zeros(len(texts), int), [np.sort(rng.choice(30, rng.integers(1, 9), replace=False)) for _ in texts]
+    for lower in (False, True):
+        given = Counter()
+        for key in range(30):
+            at = [i for i, k in enumerate(keys) if key in k]
+            below = [keys[i][keys[i] < key] for i in at] if lower else None
+            found = near.count_pairs(n[at], part[at], own[at], [bins[i] for i in at], 0.8, None, below) if at else ((), (), ())
+            given.update((min(at[a], at[b]), max(at[a], at[b])) for a, b, _ in zip(*found, strict=True))
+        if lower:
+            assert set(given) == several and set(given.values()) == {1}
+        several = set(given)
+
 
 def test_bucket_of_unlike_texts(spark):
     """Texts with one passage in common and nothing else: the two that are alike find each other, whatever the blocks."""

@@ -313,6 +313,7 @@ def block_pairs(rest: DataFrame, words: DataFrame, least: float, nearest: int |
     """key, rep, head, more: all pairs of members of a bucket that are in different classes and pass the bounds; with nearest, so many of each member's with the closest word counts.
 
     more: this member has further ones.  A bucket without such a member has given all its pairs.
+    A pair that meets in several of the buckets is given by the one with the lowest key: members bring their lower keys.
 
     A bucket is dealt into blocks of about BLOCK members by a hash; two blocks, or one with itself, meet in one place, where a group holds no more
     than two blocks.  Members are compared by counts of their words in hashed places: what one has more of is no more than the distance.
@@ -320,10 +321,11 @@ def block_pairs(rest: DataFrame, words: DataFrame, least: float, nearest: int |
     # Counts are joined once for each member, whose buckets are as many as it has keys.
     members = rest.groupBy("rep").agg(F.first("n").alias("n"), F.first("part").alias("part"), F.collect_list(F.struct("key", F.ceil(F.col("c") / BLOCK).cast("int").alias("blocks"))).alias("keys"))
     filled = members.join(words.select(F.col("id").alias("rep"), "bins"), "rep").withColumn("drawn", F.hash("rep", F.lit("block")))
-    meetings = F.expr("flatten(transform(keys, k -> transform(sequence(0, k.blocks - 1), o -> struct(k.key as key, pmod(drawn, k.blocks) as own, o as other))))")
+    lower = "transform(filter(keys, x -> x.key < k.key), x -> x.key) as lower"
+    meetings = F.expr(f"flatten(transform(keys, k -> transform(sequence(0, k.blocks - 1), o -> struct(k.key as key, pmod(drawn, k.blocks) as own, o as other, {lower}))))")
     dealt = filled.select("rep", "n", "part", "bins", F.explode(meetings).alias("m"))
-    filled = dealt.select("m.key", F.least("m.own", "m.other").alias("lo"), F.greatest("m.own", "m.other").alias("hi"), "m.own", "rep", "n", "part", "bins")
-    names = ["key", "lo", "hi", "own", "rep", "n", "part", "bins"]
+    filled = dealt.select("m.key", F.least("m.own", "m.other").alias("lo"), F.greatest("m.own", "m.other").alias("hi"), "m.own", "rep", "n", "part", "bins", "m.lower")
+    names = ["key", "lo", "hi", "own", "rep", "n", "part", "bins", "lower"]
 
     def meet(batches):
         held = None
@@ -341,7 +343,9 @@ def block_pairs(rest: DataFrame, words: DataFrame, least: float, nearest: int |
     def met(group):
         rep, n, part, own = (group.column(c).to_numpy() for c in ("rep", "n", "part", "own"))
         bins = [np.frombuffer(b, np.uint8) for b in group.column("bins").to_pylist()]
-        first, second, more = count_pairs(n, part, own, bins, least, nearest)
+        keys = group.column("lower").combine_chunks()
+        lower = np.split(keys.flatten().to_numpy(), np.cumsum(keys.value_lengths().to_numpy())[:-1])
+        first, second, more = count_pairs(n, part, own, bins, least, nearest, lower)
         for at in range(0, len(first), 50_000):
             some = slice(at, at + 50_000)
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(first[some]), group.column("key")[0].as_py())), pa.array(rep[first[some]]), pa.array(rep[second[some]]), pa.array(more[some])], ["key", "rep", "head", "more"])
@@ -350,11 +354,12 @@ def block_pairs(rest: DataFrame, words: DataFrame, least: float, nearest: int |
     return placed.mapInArrow(meet, "key bigint, rep bigint, head bigint, more boolean")
 
 
-def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.ndarray], least: float, nearest: int | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Places of the pairs in different parts, of different blocks where there are two, whose lengths and word counts allow the similarity.
+def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.ndarray], least: float, nearest: int | None = None, lower: list[np.ndarray] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Places of the pairs in different parts, of different blocks where there are two, without a common key in lower, whose lengths and word counts allow the similarity.
 
     With nearest, at most so many of those in which a member is the shorter one, and whether it has more of them.
     """
+    holders = holders_of(lower) if lower is not None else [[]] * len(n)
     order = np.argsort(n, kind="stable")
     two = own.min() != own.max()
     sizes = np.array([len(bins[i]) for i in order])
@@ -370,6 +375,11 @@ def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.
             # Texts as long as this one or longer stand behind it.
             near = np.arange(i + 1, ends[i])
             near = near[(classes[near] != classes[i]) & ((block[near] != block[i]) if two else True)]
+            if len(near) and holders[place[i]]:
+                elsewhere = np.zeros(len(n), bool)
+                for some in holders[place[i]]:
+                    elsewhere[some] = True
+                near = near[~elsewhere[place[near]]]
             if len(near):
                 common = np.minimum(table[near], table[i]).sum(axis=1, dtype=np.uint32)
                 apart = np.maximum(total[near], total[i]) - common
@@ -384,6 +394,16 @@ def count_pairs(n: np.ndarray, part: np.ndarray, own: np.ndarray, bins: list[np.
     return tuple(np.concatenate(f).astype(kind) if f else np.zeros(0, kind) for f, kind in zip(found, (np.int64, np.int64, bool), strict=True))
 
 
+def holders_of(keys: list[np.ndarray]) -> list[list[np.ndarray]]:
+    """For each list of keys: of every key that others have too, the places of all lists that hold it."""
+    sizes = [len(k) for k in keys]
+    number = np.unique(np.concatenate(keys), return_inverse=True)[1]
+    owner = np.repeat(np.arange(len(keys)), sizes)
+    by = np.argsort(number, kind="stable")
+    held = np.split(owner[by], np.cumsum(np.bincount(number))[:-1]) if len(number) else []
+    return [[held[k] for k in own if len(held[k]) > 1] for own in np.split(number, np.cumsum(sizes)[:-1])]
+
+
 def word_bins(words: np.ndarray) -> bytes:
     """How often words fall into each of a power of two of places, up to 255."""
     size = FEWEST_BINS
