@@ -290,3 +290,27 @@ def test_labels(spark, run):
     e = spark.createDataFrame([(1, 2, "likes", "e1"), (1, 3, "hates", "e2")], "src bigint, dst bigint, label string, edge_id string")
     assert reify_edge_labels(e).edges.count() == 6
     assert symmetric(run).edges.count() == 14
+
+
+def test_blocks_count_pairs_of_children_in_their_tasks(spark, monkeypatch):
+    """Same table as the join; children of one parent are never paired by Spark; rare children, hubs and blocks without a row."""
+    import random
+
+    from twigmine.plans import pairs
+    from twigmine.queries import QUERIES
+
+    r = random.Random(3)
+    edges = {(a, b) for a in range(60) for b in range(40) if r.random() < 0.3} | {(7, b) for b in range(200)} | {(a, 1000 + a) for a in range(60)}
+    g = load(spark.createDataFrame(sorted((f"s{a}", f"p{b}") for a, b in edges), "src string, dst string"))
+    p = parse_pattern("x(#a,#b)").pattern
+    monkeypatch.setattr(pairs, "AT_ONCE", 50)
+    for minsup in (1, 9):
+        want = sorted(map(tuple, support_table(g, p, minsup=minsup).collect()))
+        assert want and sorted(map(tuple, support_table(g, p, minsup=minsup, strategy="blocks").collect())) == want
+        assert sorted(map(tuple, pairs.common_parents(g, minsup, blocks=3).collect())) == want
+    assert {tuple(x) for x in support_table(graph(spark, RUN), p, minsup=1, strategy="blocks").collect()} == {tuple(x) for x in support_table(graph(spark, RUN), p).collect()}
+    with pytest.raises(ValueError):
+        support_table(g, parse_pattern("x(#a,b)").pattern, strategy="blocks")
+    for name in ("sup_pair_star",):
+        plan = QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString()
+        assert "FlatMapGroupsInArrow" in plan and "Join Inner, (src" not in plan
