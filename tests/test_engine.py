@@ -311,6 +311,6 @@ def test_blocks_count_pairs_of_children_in_their_tasks(spark, monkeypatch):
     assert {tuple(x) for x in support_table(graph(spark, RUN), p, minsup=1, strategy="blocks").collect()} == {tuple(x) for x in support_table(graph(spark, RUN), p).collect()}
     with pytest.raises(ValueError):
         support_table(g, parse_pattern("x(#a,b)").pattern, strategy="blocks")
-    for name in ("sup_pair_star", "rule_pair_star"):
+    for name in ("sup_pair_star", "rule_pair_star", "rule_pair_citations"):
         plan = QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString()
         assert "FlatMapGroupsInArrow" in plan and "Join Inner, (src" not in plan
