@@ -149,3 +149,22 @@ def test_cosine_reads_every_vector(spark, sf):
     ids = {r.vec_id for r in spark.read.parquet(f"{sf}/embeddings.parquet").select("vec_id").collect()}
     got = QUERIES["fn_cosine_whole"](spark, sf).collect()
     assert {r.b for r in got} == ids and len(got) == sum(i % 50 == 0 for i in ids) * (len(ids) - 1)
+
+
+def test_two_steps_meet_by_slots_of_time(spark, tmp_path):
+    """Every pair of the definition once, over several files; a node's edges of other times are never compared, and no state is kept."""
+    import random
+    from datetime import datetime, timedelta
+
+    r, start = random.Random(5), datetime(2024, 1, 2)
+    day = [(i, r.randrange(6), start + timedelta(seconds=r.randrange(40) * 150), r.randrange(3)) for i in range(120)]
+    rows = spark.createDataFrame([(i, u, t, f'{{"k": {k}}}') for i, u, t, k in day], "event_id bigint, user_id bigint, ts timestamp_ntz, props string")
+    for part in range(3):
+        rows.filter(F.col("event_id") % 3 == part).coalesce(1).write.mode("append").parquet(str(tmp_path / "events.parquet"))
+    want = sorted((f"u:{u}", f"k:{k}", f"u:{w}", str(t), str(t2)) for _, u, t, k in day for _, w, t2, k2 in day if k == k2 and u != w and timedelta(0) <= t2 - t <= timedelta(minutes=10))
+    found = streams.stream_two_steps(spark, str(tmp_path))
+    assert want and sorted((x.u, x.v, x.w, str(x.t1), str(x.t2)) for x in found.collect()) == want
+    place = spark.conf.get("spark.checkpoint.dir")
+    from pathlib import Path
+
+    assert not list(Path(place.removeprefix("file:")).glob("two-*/checkpoint/state"))
