@@ -151,6 +151,17 @@ def test_cosine_reads_every_vector(spark, sf):
     assert {r.b for r in got} == ids and len(got) == sum(i % 50 == 0 for i in ids) * (len(ids) - 1)
 
 
+def test_fold_maps_are_of_patterns_in_the_table(spark, sf):
+    from twigmine.model.contain import fold_maps
+    from twigmine.model.pattern import pattern_of_key
+    from twigmine.queries import QUERIES, RULE_LHS, WHOLE, WHOLE_MINSUP, _store
+
+    df = QUERIES["fold_maps_count"](spark, sf)
+    keys = {r[0] for r in _store(spark, sf, WHOLE, WHOLE_MINSUP).support.select("pattern_key").distinct().collect()}
+    made = {k: sum(1 for _ in fold_maps(RULE_LHS.body, pattern_of_key(k))) for k in keys}
+    assert df.inputFiles() and {r.rhs_key: r.made for r in df.collect()} == {k: c for k, c in made.items() if c} != {}
+
+
 def test_two_steps_meet_by_slots_of_time(spark, tmp_path):
     """Every pair of the definition once, over several files; a node's edges of other times are never compared, and no state is kept."""
     import random
