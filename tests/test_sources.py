@@ -179,3 +179,10 @@ def test_two_steps_meet_by_slots_of_time(spark, tmp_path):
     from pathlib import Path
 
     assert not list(Path(place.removeprefix("file:")).glob("two-*/checkpoint/state"))
+
+
+def test_keys_and_repeats_are_of_the_tables(spark, sf):
+    from twigmine.queries import QUERIES
+
+    made = {r.dedup: r for r in QUERIES["rule_dedup_counts"](spark, sf).collect()}
+    assert made["none"].made == made["complete"].made >= made["none"].legal >= made["linear"].kept >= made["complete"].kept > 0
