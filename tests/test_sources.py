@@ -182,7 +182,13 @@ def test_two_steps_meet_by_slots_of_time(spark, tmp_path):
 
 
 def test_keys_and_repeats_are_of_the_tables(spark, sf):
-    from twigmine.queries import QUERIES
+    import duckdb
+
+    from twigmine.queries import ORACLES, QUERIES
 
+    db = duckdb.connect()
+    db.execute(f"CREATE VIEW events AS SELECT * FROM '{sf}/events.parquet'")
+    found = QUERIES["udf_pattern_key"](spark, sf)
+    assert found.inputFiles() and sorted(map(tuple, found.collect())) == sorted(db.execute(ORACLES["udf_pattern_key"]).fetchall())
     made = {r.dedup: r for r in QUERIES["rule_dedup_counts"](spark, sf).collect()}
     assert made["none"].made == made["complete"].made >= made["none"].legal >= made["linear"].kept >= made["complete"].kept > 0
