@@ -181,6 +181,13 @@ def test_two_steps_meet_by_slots_of_time(spark, tmp_path):
     assert not list(Path(place.removeprefix("file:")).glob("two-*/checkpoint/state"))
 
 
+def test_generated_graphs_stand_on_suppliers(spark, sf):
+    nation = {r.s_suppkey: r.s_nationkey for r in spark.read.parquet("/root/testdata/sf0.01/supplier.parquet").collect()}
+    copied = sorted(map(tuple, streams.gen_copy_model(spark, "/root/testdata/sf0.01").collect()))
+    model = CopyModelReader({"degree": 5, "p_random": 0.1, "seed": 7})
+    assert copied == sorted((v, dst) for v in nation if v > 0 for dst in {model.link(v, k) for k in range(5)})
+
+
 def test_keys_and_repeats_are_of_the_tables(spark, sf):
     import duckdb
 
