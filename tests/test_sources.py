@@ -187,7 +187,7 @@ def test_generated_graphs_stand_on_suppliers(spark, sf):
     model = CopyModelReader({"degree": 5, "p_random": 0.1, "seed": 7})
     assert copied == sorted((v, dst) for v in nation if v > 0 for dst in {model.link(v, k) for k in range(5)})
     pairs = sum(a == b for a in nation.values() for b in nation.values())
-    for made in (streams.gen_uniform,):
+    for made in (streams.gen_uniform, streams.gen_uniform_native):
         df = made(spark, "/root/testdata/sf0.01")
         got = [tuple(r) for r in df.repartition(3).collect()]
         assert len(got) == len(set(got)) and all(nation[a] == nation[b] for a, b in got) and 0 < len(got) < pairs / 4
