@@ -1,5 +1,6 @@
 """Support tables, searches and rules on small graphs with known answers."""
 
+import re
 from fractions import Fraction
 
 import pytest
@@ -314,3 +315,16 @@ def test_blocks_count_pairs_of_children_in_their_tasks(spark, monkeypatch):
     for name in ("sup_pair_star", "rule_pair_star", "rule_pair_citations"):
         plan = QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString()
         assert "FlatMapGroupsInArrow" in plan and "Join Inner, (src" not in plan
+
+
+@pytest.mark.parametrize("text", ["x1(x2(#a, #b))", "x1(x2(#a))", "x1(x2(x3(#a, ?), y), z)", "x1(x2(#a(y), #b), z)", "x1(x2(?(#a, #b)), z)", "x1(#a(x2, #b))"])
+def test_free_nodes_above_the_pins_are_counted_from_the_root(spark, hom, text):
+    p = parse_pattern(text).pattern
+    table = support_table(hom, p, minsup=2)
+    assert sorted(map(tuple, table.collect())) == sorted(map(tuple, support_table(hom, p, minsup=2, strategy="expand").collect()))
+    if text in ("x1(x2(#a, #b))", "x1(x2(#a))"):
+        # No row for a pin and a free node above its parent.
+        plan = table._jdf.queryExecution().optimizedPlan().toString()
+        pins = {f"n{i}" for i in p.pins}
+        keys = [set(re.findall(r"n\d+", k)) for k in re.findall(r"Aggregate \[([^\]]*)\]", plan)]
+        assert keys and not [k for k in keys if "n0" in k and k & pins]

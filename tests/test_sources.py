@@ -205,3 +205,29 @@ def test_keys_and_repeats_are_of_the_tables(spark, sf):
     assert found.inputFiles() and sorted(map(tuple, found.collect())) == sorted(db.execute(ORACLES["udf_pattern_key"]).fetchall())
     made = {r.dedup: r for r in QUERIES["rule_dedup_counts"](spark, sf).collect()}
     assert made["none"].made == made["complete"].made >= made["none"].legal >= made["linear"].kept >= made["complete"].kept > 0
+
+
+def test_nearest_of_many_columns_are_those_of_a_whole_sort(spark):
+    import numpy as np
+
+    from twigmine.sources.datagraphs import nearest, top_neighbours
+
+    draw = np.random.default_rng(3)
+    v = draw.integers(-2, 3, (900, 4)).astype(np.float64)  # many equal directions, and some without any
+    v = np.concatenate([v, draw.normal(size=(300, 4))])[draw.permutation(1200)]
+    with np.errstate(invalid="ignore"):
+        u = v / np.linalg.norm(v, axis=1, keepdims=True)
+    ids = np.sort(np.r_[np.arange(1190), np.arange(10)])  # ten ids twice
+    cos = np.round(u @ u.T, 6)
+    cos[ids[:, None] == ids[None, :]] = -np.inf
+    cos[np.isnan(cos)] = -np.inf
+    order = np.argsort(-cos, axis=1, kind="stable")[:, :5]
+    expected = {(a, int(b)) for a in range(1200) for b in order[a] if np.isfinite(cos[a, b])}
+    row, column, _ = nearest(u, u, 5, ids)
+    assert set(zip(row.tolist(), column.tolist(), strict=True)) == expected and len(row) == len(expected)
+    # The same through Spark, in one block and in four.
+    table = spark.createDataFrame([(k, x.tolist()) for k, x in enumerate(v)], "vec_id bigint, embedding array<float>")
+    one, four = ({tuple(r) for r in top_neighbours(table, 5, n).collect()} for n in (1, 4))
+    assert one == four
+    sent = top_neighbours(table, 5, 4)._jdf.queryExecution().optimizedPlan().toString()
+    assert sent.count("Generate explode") == 1  # a vector goes once to each block, not once for each side
