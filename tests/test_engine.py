@@ -328,3 +328,36 @@ def test_free_nodes_above_the_pins_are_counted_from_the_root(spark, hom, text):
         pins = {f"n{i}" for i in p.pins}
         keys = [set(re.findall(r"n\d+", k)) for k in re.findall(r"Aggregate \[([^\]]*)\]", plan)]
         assert keys and not [k for k in keys if "n0" in k and k & pins]
+
+
+def test_wide_graphs_count_what_narrow_ones_do(spark, monkeypatch):
+    from twigmine import graph as graphs
+
+    # Hosts, pages of one host or of two, targets of many pages.
+    edges = [(f"h{k % 3}", f"l{k}") for k in range(24)] + [("h1", "l0"), ("h2", "l0"), ("h2", "l1"), ("h0", "t0"), ("l3", "l5")]
+    edges += [(f"l{k}", f"t{j}") for k in range(24) for j in range(6) if (k * 7 + j * j) % 4 < 2]
+    g = load(spark.createDataFrame(edges, "src string, dst string")).persisted()
+    assert not g.told_apart().wide  # few pairs: nothing changes
+    monkeypatch.setattr(graphs, "MOST_PAIRS", 0)
+    wide = g.told_apart()
+    assert wide.wide and {r.dst for r in wide.edges.filter("lone").collect()} == {f"l{k}" for k in range(24)} - {"l0", "l1", "l5"}
+    for text in (
+        "?(x(y), z)", "?(x(?), z)", "?(x(#a), z)", "?(#a(x), z)", "?(x(y), #a)", "?(x(#a), #b)", "?(#a(x), #b)", "?(?(x), #a)", "?(?(#a), x)", "?(x, y, #a)", "?(#a, #b)",
+        "x(y(#a), #b)", "x(#a(y), #b)", "x(?(#a), #b)", "#r(x(#a), #b)", "#r(?(x), #a)", "x(y(#a, #b))", "#r(x(#a, #b))", "x(?(y, z))", "x(?(y, #a))", "x(y, z(#a), #b)",
+    ):
+        p = parse_pattern(text).pattern
+        assert sorted(map(tuple, support_table(wide, p, minsup=6).collect())) == sorted(map(tuple, support_table(g, p, minsup=6, strategy="expand").collect())), text
+    monkeypatch.setattr("twigmine.operators.miner.MOST_ALLOWED", 5)
+    rows = lambda x: sorted((r.pattern_key, tuple(r.pins), r.freq) for r in x.collect())
+    found = rows(mine_tree(wide, (0, 1, 2, 1), 6))
+    assert found and found == rows(mine_tree(g, (0, 1, 2, 1), 6))
+
+
+def test_hidden_roots_of_many_children_pair_no_siblings(spark):
+    # 400 million pairs of siblings under the first node.
+    edges = [(0, k) for k in range(1, 20_001)] + [(k, -1 - k % 4) for k in range(1, 20_001)] + [(k, -5) for k in range(1, 1001)]
+    g = graph(spark, edges).told_apart()
+    assert g.wide
+    assert support(g, parse_pattern("?(x(y), z)").pattern) == 21_000 * 20_000
+    assert support_table(g, parse_pattern("x(#a(y), #b)").pattern, minsup=25).count() == 0
+    assert sorted(map(tuple, support_table(g, parse_pattern("x(?(y, #a))").pattern, minsup=2).collect())) == [(-5, 5)] + [(-k, 2) for k in (4, 3, 2, 1)]
